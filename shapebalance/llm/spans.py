@@ -37,12 +37,16 @@ def written(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"], s["end"])), ",")
 
 
+def _count(kind: str) -> Column:
+    return F.size(F.filter("spans", lambda s: s["kind"] == kind)).cast("long")
+
+
 def digests(scanned: DataFrame, base: tuple[str, ...]) -> DataFrame:
     """Counts of each base kind, the hash of the base spans, and all spans written out."""
     own = F.filter("spans", lambda s: s["kind"].isin(*base))
     return scanned.select(
         "doc_id",
-        *[F.size(F.filter("spans", lambda s, k=k: s["kind"] == k)).cast("long").alias(f"n_{k}") for k in base],
+        *[_count(k).alias(f"n_{k}") for k in base],
         F.sha2(written(own).cast("binary"), 256).alias("base_sha256"),
         written(F.col("spans")).alias("spans"),
     )
