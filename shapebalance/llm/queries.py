@@ -11,6 +11,12 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .fingerprints import edited_fingerprints
+
+    return edited_fingerprints(_table(spark, sf_dir, "documents"))
+
+
 def op4_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .neardup import NearDupConfig, near_duplicates
 
@@ -60,7 +66,7 @@ def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op4_near_dedup, op5_pii, op9_byte_bpe, op10_secrets)}
+    return {f.__name__: f for f in (op1_fingerprints, op4_near_dedup, op5_pii, op9_byte_bpe, op10_secrets)}
 
 
 def oracle_sql() -> dict[str, str]:
