@@ -89,6 +89,20 @@ SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5
 """
 
 
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .toxicity import score_toxicity, train_toxicity
+
+    docs = _table(spark, sf_dir, "documents")
+    return score_toxicity(docs, train_toxicity(docs, _table(spark, sf_dir, "labels")))
+
+
+def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .quality import score_quality, train_quality
+
+    docs = _table(spark, sf_dir, "documents")
+    return score_quality(docs, train_quality(docs, _table(spark, sf_dir, "labels")))
+
+
 def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -104,7 +118,7 @@ def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_fingerprints, op2_packing, op3_token_files, op4_near_dedup, op5_pii, op6_top_k, op9_byte_bpe, op10_secrets)}
+    return {f.__name__: f for f in (op1_fingerprints, op2_packing, op3_token_files, op4_near_dedup, op5_pii, op6_top_k, op7_toxicity, op8_quality, op9_byte_bpe, op10_secrets)}
 
 
 def oracle_sql() -> dict[str, str]:
