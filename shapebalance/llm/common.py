@@ -83,11 +83,11 @@ def parts(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
 
 
-def semi_join(df: DataFrame, ids: DataFrame, key: str) -> DataFrame:
-    """Rows of df whose key is in ids (one column of that name, distinct): broadcast if counted small, shuffled otherwise."""
+def semi_join(df: DataFrame, ids: DataFrame, key: str, anti: bool = False) -> DataFrame:
+    """Rows of df whose key is in ids (one column of that name, distinct), or is not: ids are broadcast if counted small, else both sides are shuffled."""
     if ids.count() <= BROADCAST_IDS:
         ids = F.broadcast(ids)
-    return df.join(ids, key, "left_semi")
+    return df.join(ids, key, "left_anti" if anti else "left_semi")
 
 
 def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text", limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:

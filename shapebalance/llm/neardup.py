@@ -261,6 +261,10 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig = NearDupConfig()) ->
 
 
 def deduplicated(docs: DataFrame, config: NearDupConfig = NearDupConfig()) -> DataFrame:
-    """The rows of docs whose document stands for its group, all columns kept. Of rows that repeat a kept doc_id, all stay."""
-    gone = near_duplicates(docs, config).where("NOT kept").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    """The rows of docs whose document stands for its group, all columns kept. Of rows that repeat a kept doc_id, all stay.
+
+    Ids of dropped documents are broadcast where they are few, so that texts need no shuffle.
+    """
+    near = NearDuplicates(docs, config)
+    gone = near.work.table(near.result().where("NOT kept").select("doc_id").distinct(), "gone")
+    return semi_join(docs, gone, "doc_id", anti=True).select(*docs.columns)
