@@ -2,8 +2,8 @@
 
 Equal word sequences are one class from the start, so that groups of exact copies cost one row each. Within a band's
 bucket every class is compared with the bucket's smallest class; only classes that stay apart after that are compared
-among themselves: in buckets of up to `bucket` classes pair by pair, in larger ones through the rarest shingles of each
-class, of which two sets alike enough always share one. So no bucket emits all its pairs and no link is lost to a cap.
+among themselves: in buckets of up to `bucket` classes pair by pair, in larger ones exactly, block against block. So no
+bucket emits all its pairs and no link is lost to a cap.
 """
 
 from __future__ import annotations
@@ -17,7 +17,7 @@ from functools import cache
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Work, semi_join, text_bytes, text_slices
@@ -39,6 +39,8 @@ class NearDupConfig:
     miss: float = 1e-7
     #: Classes in a bucket up to which those that stay apart are compared pair by pair.
     bucket: int = 48
+    #: Shingles in a block of the exact comparison that larger buckets get.
+    block: int = 150_000
 
 
 def least_matches(n: int, t: float, miss: float) -> int:
@@ -138,13 +140,47 @@ def _confirm(c: NearDupConfig):
     return run
 
 
-def _shingle_rows(c: NearDupConfig):
+def _pack(c: NearDupConfig):
+    def run(block: pa.Table) -> pa.Table:
+        block = block.sort_by("doc_id")
+        words, at = _word_hashes(block.column("text"))
+        sets = [shingles(words[i:j], c.words) for i, j in zip(at[:-1], at[1:], strict=True)]
+        bounds = np.concatenate(([0], np.cumsum([len(s) for s in sets]))).astype(np.int64)
+        data = [block.column(x).to_numpy().astype(np.int64).tobytes() for x in ("doc_id", "g")]
+        one = [block.column(x)[0].as_py() for x in ("cluster", "band", "block")]
+        return pa.table({k: [v] for k, v in zip(("cluster", "band", "block", "ids", "groups", "at", "shingles"), [*one, *data, bounds.tobytes(), np.concatenate(sets).tobytes()], strict=True)}, pa.schema([("cluster", pa.int64()), ("band", pa.int32()), ("block", pa.int64()), *[(x, pa.binary()) for x in ("ids", "groups", "at", "shingles")]]))
+
+    return run
+
+
+def _link_blocks(c: NearDupConfig):
+    def links(row: dict) -> list[tuple[int, int]]:
+        (ids1, groups1, at1, set1), (ids2, groups2, at2, set2) = ([np.frombuffer(row[f"{x}{k}"], t) for x, t in (("ids", np.int64), ("groups", np.int64), ("at", np.int64), ("shingles", np.uint64))] for k in (1, 2))
+        # lists of the second block: for each of its shingles, the documents that hold it
+        order = np.argsort(set2, kind="stable")
+        owner = np.repeat(np.arange(len(ids2)), np.diff(at2))[order]
+        known, start, count = np.unique(set2[order], return_index=True, return_counts=True)
+        size2, found = np.diff(at2), {}
+        for i in range(len(ids1)):
+            own = set1[at1[i] : at1[i + 1]]
+            place = np.minimum(np.searchsorted(known, own), len(known) - 1)
+            place = place[known[place] == own]
+            n = count[place]
+            ends = np.cumsum(n)
+            if not len(ends):
+                continue
+            hits = owner[np.arange(ends[-1]) - np.repeat(ends - n - start[place], n)]
+            both = np.bincount(hits, minlength=len(ids2))
+            for j in np.flatnonzero((100 * both >= c.percent * (len(own) + size2 - both)) & (groups2 != groups1[i])).tolist():
+                found.setdefault((min(groups1[i], groups2[j]), max(groups1[i], groups2[j])), (int(ids1[i]), int(ids2[j])))
+        return list(found.values())
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in text_slices(batches):
-            words, at = _word_hashes(b.column("text"))
-            for i, doc in enumerate(b.column("doc_id").to_pylist()):
-                s = shingles(words[at[i] : at[i + 1]], c.words).view(np.int64)
-                yield pa.record_batch([pa.array(np.full(len(s), doc, np.int64)), pa.array(s)], ["id", "shingle"])
+        for b in batches:
+            for row in range(b.num_rows):
+                out = links({x: b.column(x)[row].as_py() for x in b.schema.names})
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*out, strict=True)], ["a", "b"])
 
     return run
 
@@ -159,10 +195,10 @@ class NearDuplicates:
         signed = work.table(self.docs.mapInArrow(_sign(c), schema), "signed")
         # equal word sequences have equal rows, so any row's signature stands for the class
         classes = signed.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("key").agg(
-            F.min("doc_id").alias("id"), F.count("*").alias("copies"), F.first("sketch").alias("sketch"), F.first("bands").alias("bands")
+            F.min("doc_id").alias("id"), F.count("*").alias("copies"), F.first("n_shingles").alias("n_shingles"), F.first("sketch").alias("sketch"), F.first("bands").alias("bands")
         )
         classes = work.table(classes, "classes")
-        self.sketches = classes.select("id", "sketch")
+        self.sketches, self.sizes = classes.select("id", "sketch"), classes.select("id", "n_shingles")
         rows = classes.select("id", F.explode("bands").alias("band"))
         stats = rows.groupBy("band").agg(F.count("*").alias("n"), F.min("id").alias("leader")).where("n > 1")
         buckets = work.table(rows.join(stats, "band"), "buckets")
@@ -173,8 +209,11 @@ class NearDuplicates:
         groups = work.table(components(work, links.select(F.col("a").alias("u"), F.col("b").alias("v"))), "groups")
 
         rest = self._apart(alike.join(first, ["a", "b"], "left_anti"), groups)
-        among = self._pruned(self._among(buckets, groups))
-        more = self._confirmed(rest.unionByName(among).distinct())
+        among, exact = self._among(buckets, groups)
+        more = self._confirmed(rest.unionByName(self._pruned(among)).distinct())
+        if exact is not None:
+            more = more.unionByName(exact)
+        more = work.table(more, "more")
         # from here on, groups stand for their members
         named = groups.withColumnRenamed("component", "g")
         ends = more.join(named.select(F.col("node").alias("a"), F.col("g").alias("ga")), "a", "left").join(named.select(F.col("node").alias("b"), F.col("g").alias("gb")), "b", "left")
@@ -208,8 +247,8 @@ class NearDuplicates:
             ta, tb = ta.distinct(), tb.distinct()
         return pairs.join(tb, "b").join(ta, "a").select("a", "b", "ta", "tb").mapInArrow(_confirm(self.c), "a long, b long").distinct()
 
-    def _among(self, buckets: DataFrame, groups: DataFrame) -> DataFrame:
-        """Candidate pairs among classes of a bucket that stayed in several groups."""
+    def _among(self, buckets: DataFrame, groups: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+        """Candidate pairs among classes of small buckets that stayed in several groups, and confirmed links from large ones."""
         c, work = self.c, self.work
         named = groups.select(F.col("node").alias("id"), F.col("component").alias("g"))
         placed = buckets.where("n > 2").join(named, "id", "left").select("band", "id", "leader", "n", F.coalesce("g", "id").alias("g"))
@@ -219,34 +258,33 @@ class NearDuplicates:
         small = split.where(F.col("n") <= c.bucket).where("id != leader")
         x, y = small.select("band", F.col("id").alias("a"), F.col("g").alias("ga")), small.select("band", F.col("id").alias("b"), F.col("g").alias("gb"))
         pairs = x.join(y, "band").where("a < b AND ga != gb").select("a", "b").distinct()
-        large = split.where(F.col("n") > c.bucket).select(F.col("id").alias("doc_id"), "g").distinct()
-        if large.isEmpty():
-            return pairs
-        return pairs.unionByName(self._rare(work.table(large, "large"))).distinct()
+        large = work.table(split.where(F.col("n") > c.bucket).select("leader", "id", "g").distinct(), "large")
+        return (pairs, None) if large.isEmpty() else (pairs, self._blockwise(large))
 
-    def _rare(self, docs: DataFrame) -> DataFrame:
-        """Pairs of different groups that share one of their rarest shingles.
+    def _blockwise(self, large: DataFrame) -> DataFrame:
+        """Links between groups among the classes that share large buckets, found exactly, block against block.
 
-        Sets of sizes n and m with likeness t share at least t * max(n, m) elements, so each one's rarest
-        n - ceil(t * n) + 1 elements, in one order for all, hold a common one. Sizes must agree by t as well.
+        Classes that large buckets connect form a cluster. A cluster is cut in bands of set sizes, of which only those
+        within `percent` of each other can hold links, and bands in blocks of about `block` shingles by a hash. A task
+        holds two blocks and counts common shingles through the lists of one of them; of the links between two groups
+        it returns one. So rows are blocks and links, never the pairs of a bucket.
         """
-        t, work = self.c.percent / 100, self.work
-        texts = semi_join(self.docs, docs.select("doc_id").distinct(), "doc_id").select("doc_id", "text")
-        rows = work.table(texts.mapInArrow(_shingle_rows(self.c), "id long, shingle long").distinct(), "shingles")
-        often = rows.groupBy("shingle").agg(F.count("*").alias("often"))
-        size = rows.groupBy("id").agg(F.count("*").alias("size"))
-        ranked = rows.join(often, "shingle").where("often > 1").join(size, "id")
-        # shingles of one document only cannot be shared, but take places among the rarest
-        alone = rows.join(often.where("often = 1").select("shingle"), "shingle", "left_semi").groupBy("id").agg(F.count("*").alias("alone"))
-        order = F.row_number().over(Window.partitionBy("id").orderBy("often", "shingle"))
-        prefix = ranked.join(alone, "id", "left").withColumn("place", order + F.coalesce("alone", F.lit(0)))
-        prefix = prefix.where(F.col("place") <= F.col("size") - F.ceil(F.col("size") * t - 1e-9) + 1).select("id", "shingle", "size", "often")
-        prefix = work.table(prefix.join(docs.select(F.col("doc_id").alias("id"), "g"), "id"), "prefix")
-        apart = prefix.groupBy("shingle").agg(F.min("g").alias("low"), F.max("g").alias("high")).where("low != high").select("shingle")
-        prefix = prefix.join(apart, "shingle")
-        x, y = (prefix.select("shingle", F.col("id").alias(i), F.col("g").alias(f"g{i}"), F.col("size").alias(f"n{i}")) for i in "ab")
-        alike = (F.col("nb") >= F.col("na") * t) & (F.col("na") >= F.col("nb") * t)
-        return x.join(y, "shingle").where((F.col("a") < F.col("b")) & (F.col("ga") != F.col("gb")) & alike).select("a", "b").distinct()
+        c, work = self.c, self.work
+        cluster = components(work, large.select(F.col("leader").alias("u"), F.col("id").alias("v"))).withColumnRenamed("component", "cluster")
+        docs = large.select(F.col("id").alias("node"), "g").distinct().join(cluster, "node").join(self.sizes.withColumnRenamed("id", "node").dropDuplicates(["node"]), "node")
+        width = math.log(100 / c.percent) / 2 * 1.001
+        docs = docs.withColumn("band", F.floor(F.log("n_shingles") / width).cast("int"))
+        cells = docs.groupBy("cluster", "band").agg(F.ceil(F.sum("n_shingles") / c.block).cast("int").alias("blocks"))
+        docs = work.table(docs.join(cells, ["cluster", "band"]).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks").cast("long"))), "placed")
+        texts = semi_join(self.docs, docs.select(F.col("node").alias("doc_id")).distinct(), "doc_id")
+        rows = texts.join(docs.select(F.col("node").alias("doc_id"), "g", "cluster", "band", "block"), "doc_id")
+        place = ["cluster", "band", "block"]
+        packed = work.table(rows.groupBy(*place).applyInArrow(_pack(c), "cluster long, band int, block long, ids binary, groups binary, at binary, shingles binary"), "blocks")
+        near = packed.select("cluster", F.explode(F.array(*[F.col("band") + k for k in range(3)])).alias("band2"), *[F.col(x).alias(f"{x}1") for x in place[1:]])
+        pairs = near.join(packed.select("cluster", F.col("band").alias("band2"), F.col("block").alias("block2")), ["cluster", "band2"]).where("band2 > band1 OR block2 >= block1")
+        side = lambda k: packed.select("cluster", *[F.col(x).alias(f"{x}{k}") for x in packed.columns[1:]])
+        both = pairs.join(side(1), ["cluster", "band1", "block1"]).join(side(2), ["cluster", "band2", "block2"])
+        return both.select(*[f"{x}{k}" for k in (1, 2) for x in ("ids", "groups", "at", "shingles")]).mapInArrow(_link_blocks(c), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, config: NearDupConfig = NearDupConfig()) -> DataFrame:
