@@ -28,14 +28,27 @@ def _with_params(x: DataFrame, params: DataFrame, *columns: str) -> DataFrame:
     return x.join(params.select("label", *columns), "label", "left")
 
 
-def _stats_columns(algo: str, eps: float) -> dict[str, Column]:
+def let(value: Column, use) -> Column:
+    """use(value) with the value bound once per row: named outside a lambda, the optimizer would copy it into each element's evaluation."""
+    return F.transform(F.array(value), use)[0]
+
+
+def _moments(algo: str, eps: float) -> Column:
+    """struct(mu, rstd) of x."""
     n = F.size("x")
-    mu = _sum(F.col("x")) / n
-    if algo == "one_pass":
-        var = _sum(F.transform("x", lambda v: v * v)) / n - F.col("mu") * F.col("mu")
-    else:
-        var = _sum(F.transform("x", lambda v: (v - F.col("mu")) * (v - F.col("mu")))) / n
-    return {"mu": mu, "var": F.greatest(var, F.lit(0.0)), "rstd": 1 / F.sqrt(F.col("var") + eps)}
+
+    def of(mu: Column) -> Column:
+        if algo == "one_pass":
+            var = _sum(F.transform("x", lambda v: v * v)) / n - mu * mu
+        else:
+            var = _sum(F.transform("x", lambda v: (v - mu) * (v - mu))) / n
+        return F.struct(mu.alias("mu"), (1 / F.sqrt(F.greatest(var, F.lit(0.0)) + eps)).alias("rstd"))
+
+    return let(_sum(F.col("x")) / n, of)
+
+
+def _standardised(x: Column, mu: Column, rstd: Column) -> Column:
+    return let(F.struct(mu.alias("mu"), rstd.alias("rstd")), lambda st: F.transform(x, lambda v: (v - st["mu"]) * st["rstd"]))
 
 
 def row_stats(x: DataFrame, eps: float = EPS, stats_algo: str = "two_pass", tile: int | None = None, acc: str = "float64") -> DataFrame:
@@ -58,10 +71,10 @@ def row_stats(x: DataFrame, eps: float = EPS, stats_algo: str = "two_pass", tile
         kind = acc.replace("64", "").replace("float32", "float") if acc == "float32" else "double"
         starts = F.sequence(F.lit(1), F.size("x"), F.lit(tile))
         total = lambda of: F.aggregate(F.transform(starts, lambda i: F.aggregate(F.slice("x", i, tile), F.lit(0.0).cast(kind), lambda a, v: (a + of(v)).cast(kind))), F.lit(0.0).cast(kind), lambda a, v: (a + v).cast(kind)).cast("double")
-        out = x.withColumn("mu", total(lambda v: v) / F.size("x"))
-        return out.withColumn("rstd", 1 / F.sqrt(total(lambda v: (v - F.col("mu")) * (v - F.col("mu"))) / F.size("x") + eps))
-    cols = _stats_columns(stats_algo, eps)
-    return x.withColumn("mu", cols["mu"]).withColumn("var", cols["var"]).withColumn("rstd", cols["rstd"]).drop("var")
+        st = let(total(lambda v: v) / F.size("x"), lambda mu: F.struct(mu.alias("mu"), (1 / F.sqrt(total(lambda v: (v - mu) * (v - mu)) / F.size("x") + eps)).alias("rstd")))
+    else:
+        st = _moments(stats_algo, eps)
+    return x.withColumn("_st", st).withColumns({"mu": F.col("_st.mu"), "rstd": F.col("_st.rstd")}).drop("_st")
 
 
 def forward(x: DataFrame, params: DataFrame, impl: str = "sql", eps: float = EPS, emit_stats: bool = False, scale_offset: float = 1.0, materialize: bool = False) -> DataFrame:
@@ -73,7 +86,7 @@ def forward(x: DataFrame, params: DataFrame, impl: str = "sql", eps: float = EPS
     keep = ["vec_id", "label", *(["mu", "rstd"] if emit_stats else [])]
     if impl == "sql":
         rows = row_stats(_with_params(x, params, "shift", "scale"), eps)
-        xhat = F.transform("x", lambda v: (v - F.col("mu")) * F.col("rstd"))
+        xhat = _standardised(F.col("x"), F.col("mu"), F.col("rstd"))
         scaled = F.zip_with(xhat, "scale", lambda v, s: v * (scale_offset + s))
         return rows.withColumn("y", F.zip_with(scaled, "shift", lambda v, s: v + s)).select(*keep, "y")
     if impl == "arrow":
@@ -141,7 +154,7 @@ def grad_params(x: DataFrame, impl: str = "tiled", stats: str = "recompute", d_t
     if impl == "tiled":
         return _tiled(x, stats, d_tile, n_tile, acc, eps)
     rows = x if stats == "cached" else row_stats(x, eps)
-    rows = rows.withColumn("xhat", F.transform("x", lambda v: (v - F.col("mu")) * F.col("rstd")))
+    rows = rows.withColumn("xhat", _standardised(F.col("x"), F.col("mu"), F.col("rstd")))
     if impl == "strided":
         long = rows.select("label", F.posexplode(F.arrays_zip("dy", "xhat")).alias("d", "r"))
         return long.groupBy("label", "d").agg(F.sum("r.dy").alias("grad_shift"), F.sum(F.col("r.dy") * F.col("r.xhat")).alias("grad_scale"))
