@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..plans.model import SEED, Bounds, CostModel
 from ..ship import ship
+from ..sources.work import written
 from .batching import assign_buckets, bucket_stats, form_batches, plan_buckets
 from .ranks import key, ranked
 
@@ -89,10 +90,13 @@ def step_time(steps: DataFrame) -> DataFrame:
 
 
 def schedule(samples: DataFrame, policy: str = "dual", n_ranks: int = 16, bounds: Bounds = Bounds(), steps: str = "random", kind: str = "shape", seed: int = SEED, tail: str = "keep", **plan) -> DataFrame:
-    """Samples to batches on ranks: buckets, statistics, sizes, batches, steps."""
+    """Samples to batches on ranks: buckets, statistics, sizes, batches, steps.
+
+    The batches, a few numbers each, are written to a work folder: numbering and closing steps reads them several times.
+    """
     placed = assign_buckets(samples, kind)
     sizes = plan_buckets(bucket_stats(placed), bounds, policy, **plan)
-    return assign_steps(form_batches(placed, sizes, seed, tail), n_ranks, steps, seed, bounds.p)
+    return assign_steps(written(form_batches(placed, sizes, seed, tail)), n_ranks, steps, seed, bounds.p)
 
 
 def run(samples: DataFrame, policy: str = "dual", n_ranks: int = 16, bounds: Bounds = Bounds(), model: CostModel = CostModel(), noise: float = 0.0, **how) -> DataFrame:

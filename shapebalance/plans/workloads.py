@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import time
-import uuid
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -12,6 +11,7 @@ from pyspark.sql import functions as F
 from ..functions.sql import register
 from ..operators import adaln, batching, costmodel, metrics, schedule, telemetry
 from ..sources import tables
+from ..sources.work import shared_root
 from ..streaming import loop
 from .model import ARMS, Bounds, CostModel
 
@@ -92,18 +92,13 @@ def closed_loop(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(r["round"], float(r["m_comp"]), float(r["p"]), float(r["cv"]), float(r["tokens_per_s"])) for r in rounds], "round int, m_comp double, p double, cv double, tokens_per_s double")
 
 
-def _folder(spark: SparkSession) -> str:
-    top = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or "file:///tmp/shapebalance-stream"
-    return f"{top.rstrip('/')}/stream-{uuid.uuid4().hex}"
-
-
 def _closed(spark: SparkSession, sf_dir: str, late: str) -> DataFrame:
     return tables.table(spark, sf_dir, "events").agg(F.expr(f"max(CAST(ts AS TIMESTAMP)) - INTERVAL {late}").alias("closed"))
 
 
 def stream_waits(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The replayed events' windows that the watermark has closed, written by the stream and read back."""
-    folder = _folder(spark)
+    folder = shared_root(spark, "stream")
     stream = loop.event_stream(spark, f"{sf_dir}/events.parquet")
     query = loop.stream_waits(stream).writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/checkpoint").outputMode("append").trigger(availableNow=True).start()
     query.awaitTermination()
@@ -121,7 +116,7 @@ def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stream_loop(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bounds refitted by the stream; the last version."""
-    folder = _folder(spark)
+    folder = shared_root(spark, "stream")
     loop.start_loop(loop.event_stream(spark, f"{sf_dir}/events.parquet"), folder, 20.0).awaitTermination()
     return loop.latest_bounds(spark, folder).select("version", "m_comp", "p", "a", "b", "r2")
 
