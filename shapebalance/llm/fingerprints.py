@@ -114,3 +114,29 @@ def edited_fingerprints(docs: DataFrame, c: SpotConfig = SpotConfig()) -> DataFr
 def fingerprints(docs: DataFrame, c: SpotConfig = SpotConfig()) -> DataFrame:
     """doc_id, signatures array<bigint>, fingerprint of every row (null text: empty set). Narrow."""
     return docs.select("doc_id", signatures(F.col("text"), c).alias("signatures")).select("doc_id", "signatures", digest(F.col("signatures")).alias("fingerprint"))
+
+
+def near_pairs(docs: DataFrame, least: float = 0.8, c: SpotConfig = SpotConfig()) -> tuple[DataFrame, DataFrame]:
+    """Links (a, b, likeness) of at least `least` between classes of equal fingerprints, and members (doc_id, class), a class being its smallest doc_id.
+
+    Sets are partitioned by length so that likeness `least` reaches the next partition at most. Inside and across two
+    neighbours a class meets others through its rarest signatures alone, n - ceil(least * n) + 1 of n, of which two sets
+    alike enough always share one; a pair whose sizes exclude the likeness is dropped before its sets are compared.
+    Null doc_ids and texts without signatures take no part. Repeated rows are one member each; an empty table gives
+    empty ones. The work grows with the links between different texts, which are the result; exact copies add none.
+    """
+    sets = fingerprints(docs.where("doc_id IS NOT NULL"), c).where(F.size("signatures") > 0)
+    classes = sets.groupBy("fingerprint").agg(F.min("doc_id").alias("class"), F.first("signatures").alias("signatures"))
+    members = sets.select("doc_id", "fingerprint").join(classes.select("fingerprint", "class"), "fingerprint").select("doc_id", "class")
+    sized = classes.select("class", "signatures", F.size("signatures").alias("n")).withColumn("part", F.floor(F.log("n") / F.log(F.lit(1 / least)) / 1.000001).cast("int"))
+    rows = sized.select("class", "n", "part", F.explode("signatures").alias("s"))
+    often = rows.groupBy("s").agg(F.count("*").alias("often"))
+    place = F.row_number().over(Window.partitionBy("class").orderBy("often", "s"))
+    rare = rows.join(often, "s").withColumn("place", place).where(F.col("place") <= F.col("n") - F.ceil(F.col("n") * least - 1e-9) + 1)
+    a = rare.select(F.col("class").alias("a"), F.col("n").alias("na"), "s", F.explode(F.array("part", F.col("part") + 1)).alias("part"), F.col("part").alias("pa"))
+    b = rare.select(F.col("class").alias("b"), F.col("n").alias("nb"), "s", "part")
+    fits = (F.least("na", "nb") >= least * F.greatest("na", "nb")) & ((F.col("pa") < F.col("part")) | (F.col("a") < F.col("b")))
+    pairs = a.join(b, ["s", "part"]).where(fits & (F.col("a") != F.col("b"))).select("a", "b").distinct()
+    whole = lambda k: sized.select(F.col("class").alias(k), F.col("signatures").alias(f"s{k}"))
+    found = pairs.join(whole("a"), "a").join(whole("b"), "b").withColumn("likeness", likeness(F.col("sa"), F.col("sb"))).where(F.col("likeness") >= least)
+    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "likeness"), members

@@ -355,3 +355,14 @@ def test_word_tokenizer_on_slices():
     ids, at = t(texts.slice(5, 40))
     for i in range(40):
         assert ids[at[i] : at[i + 1]].tolist() == t.tokenizer.encode(texts[5 + i].as_py() or "", add_special_tokens=False).ids
+
+
+def test_near_pairs(docs, none):
+    links, members = fingerprints.near_pairs(docs, 0.6)
+    sets = {r["doc_id"]: set(r["signatures"]) for r in fingerprints.fingerprints(docs).collect() if r["doc_id"] is not None}
+    same = {r["doc_id"]: r["class"] for r in members.collect()}
+    assert set(same) == {i for i, s in sets.items() if s} and all(sets[i] == sets[k] for i, k in same.items())
+    reps = sorted(set(same.values()))
+    want = {(a, b) for a in reps for b in reps if a < b and len(sets[a] & sets[b]) >= 0.6 * len(sets[a] | sets[b])}
+    assert {(r["a"], r["b"]) for r in links.collect()} == want and want
+    assert fingerprints.near_pairs(none)[0].count() == 0
