@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -14,7 +16,7 @@ from ..ship import ship
 from ..sources.work import shared_root
 
 #: Bytes of text that a Python worker holds in its arrays at once (one document may be longer).
-SLICE_BYTES = 2_000_000
+SLICE_BYTES = 500_000
 #: Rows of an id list that may be broadcast; beyond it the join shuffles both sides.
 BROADCAST_IDS = 500_000
 
@@ -65,6 +67,14 @@ def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text", limit:
             to = max(at + 1, int(np.searchsorted(run, base + limit, side="right")))
             yield batch.slice(at, to - at)
             at = to
+    release()
+
+
+def release() -> None:
+    """Gives freed memory back to the system, as workers live on between stages."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
 
 
 def as_strings(column: pa.Array) -> pa.Array:

@@ -7,10 +7,12 @@ numbers with a mod-97 check and local phone numbers are added where their score
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
+from .common import ship, text_slices
 from .spans import SPANS, Span, digests, in_order, scan
 
 BASE = ("email", "ip", "card", "phone")
@@ -122,17 +124,19 @@ def redact(text: str, least: float = LEAST) -> str:
 
 def redact_documents(docs: DataFrame, least: float = LEAST) -> DataFrame:
     """docs with all columns kept, personal data replaced in text, and n_chars (if there) counted anew. Null text stays null."""
-    from .common import ship
-
     ship(docs.sparkSession)
-
-    @F.pandas_udf("string")
-    def clean(texts):
-        return texts.map(lambda t: redact(t, least), na_action="ignore")
-
-    clean = clean.asNondeterministic()  # else the optimizer copies the call into each column that reads the text
-    out = docs.withColumn("text", clean("text"))
-    return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out
+    counts = "n_chars" in docs.columns
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in text_slices(batches):
+            texts = [redact(t.as_py(), least) if t.is_valid else None for t in b.column("text")]
+            b = b.set_column(b.schema.get_field_index("text"), "text", pa.array(texts, b.column("text").type))
+            if counts:
+                kind = b.column("n_chars").type
+                b = b.set_column(b.schema.get_field_index("n_chars"), "n_chars", pa.array([None if t is None else len(t) for t in texts], pa.int64()).cast(kind))
+            yield b
+
+    return docs.mapInArrow(run, docs.schema)
 
 
 __all__ = ["BASE", "SPANS", "find_personal", "luhn", "mod97", "personal_digests", "personal_spans", "redact", "redact_documents"]

@@ -13,7 +13,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 #: Bytes of text in one gather.
-GATHER_BYTES = 8_000_000
+GATHER_BYTES = 4_000_000
 
 
 class Memo:

@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship
+from .common import SLICE_BYTES, ship, text_slices
 
 #: start and end in code points (end exclusive), kind, score from 0 to 1.
 Span = tuple[int, int, str, float]
@@ -25,7 +25,7 @@ def scan(docs: DataFrame, find: Callable[[str], list[Span]]) -> DataFrame:
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in text_slices(batches, limit=4 * SLICE_BYTES):
             found = [[{"kind": k, "start": s, "end": e, "score": x} for s, e, k, x in find(t.as_py())] if t.is_valid else [] for t in b.column("text")]
             yield pa.record_batch([b.column("doc_id"), pa.array(found, _TYPE)], ["doc_id", "spans"])
 
