@@ -15,9 +15,16 @@ from ..sources.tables import trace_columns
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def event_stream(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
-    """events, a folder or one file, as a stream of files, with a time that watermarks accept."""
-    reader = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_trigger)
+def event_stream(spark: SparkSession, path: str, files_per_trigger: int | None = None) -> DataFrame:
+    """events, a folder or one file, as a stream of files, with a time that watermarks accept.
+
+    Files come in the order of their modification times. A replay takes all present files in one micro-batch, so no order
+    of theirs makes an event late; state then holds the ids of the whole replay. files_per_trigger cuts the replay, and is
+    right only for files whose times are in order to within the watermark: what is older than that is dropped.
+    """
+    reader = spark.readStream.schema(EVENTS)
+    if files_per_trigger is not None:
+        reader = reader.option("maxFilesPerTrigger", files_per_trigger)
     where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     fs = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
     if not fs.getFileStatus(where).isDirectory():  # file streams take folders, so the file is picked out of its own
