@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from itertools import groupby
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -135,24 +136,27 @@ def kernel_sweep(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] = (1,
     return spark.createDataFrame(out, "n long, kernel string, seconds double, exchanges int")
 
 
-def loss_curves(spark: SparkSession, sf_dir: str, steps: int = 60, rate: float = 0.5) -> DataFrame:
+def loss_curves(spark: SparkSession, sf_dir: str, rate: float = 0.5) -> DataFrame:
     """Softmax regression from vectors to labels, mini-batches in both schedulers' order; raw losses by arm and step.
 
-    Lengths come from documents of the same id. Vectors pass through the driver once (a bounded number of steps times
-    ranks times samples), as a training loop would read them.
+    Lengths come from documents of the same id. Both arms train on every step of their schedule. Vectors pass through the
+    driver once an arm, as a training loop would read them: it holds one partition of the ordered rows and one step; of
+    past steps it keeps the loss.
     """
     lengths = tables.text_samples(spark, sf_dir, "documents")
     vectors = tables.table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("sample_id"), "embedding", "label")
     rows = lengths.join(vectors.select("sample_id"), "sample_id")
+    top = vectors.join(lengths.select("sample_id"), "sample_id").agg(F.max("label")).first()[0]
     bounds, out = Bounds(8192.0, 4_194_304.5, 2.0), []
     for arm in ARMS:
         placed = batching.assign_buckets(rows, "geometric")
         batches = batching.form_batches(placed, batching.plan_buckets(batching.bucket_stats(placed), bounds, arm), members=True)
-        order = schedule.assign_steps(batches, 8).where(F.col("step") < steps).select("step", F.explode("members").alias("sample_id"))
-        data = order.join(vectors, "sample_id").orderBy("step", "sample_id").toPandas()
-        w = np.zeros((64, int(data["label"].max()) + 1 if len(data) else 1))
-        for k, g in data.groupby("step"):
-            x, y = np.stack(g["embedding"].to_list()).astype(float), g["label"].to_numpy()
+        order = schedule.assign_steps(batches, 8).select("step", F.explode("members").alias("sample_id"))
+        data = order.join(vectors, "sample_id").orderBy("step", "sample_id").select("step", "embedding", "label")
+        w = np.zeros((64, int(top or 0) + 1))
+        for k, g in groupby(data.toLocalIterator(), key=lambda row: row[0]):
+            _, x, y = zip(*g, strict=True)
+            x, y = np.array(x, dtype=float), np.array(y)
             z = x @ w
             p = np.exp(z - z.max(axis=1, keepdims=True))
             p /= p.sum(axis=1, keepdims=True)
