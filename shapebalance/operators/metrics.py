@@ -42,6 +42,18 @@ def smooth(values: DataFrame, w: int = 20, value: str = "tokens_per_s", block: i
     return rows.withColumn("smoothed", F.avg(value).over(frame)).where("NOT _guest").drop("_block", "_guest")
 
 
+def changes(values: DataFrame, value: str, block: int = 10_000) -> DataFrame:
+    """step and the change of a value since the step before, null at the first; steps count from 0 without gaps, as schedules number them.
+
+    In blocks of steps that carry the one row before them, so no task sorts the whole series.
+    """
+    own = F.floor(F.col("step") / block).cast("long")
+    blocks = F.when(F.col("step") % block == block - 1, F.array(own, own + 1)).otherwise(F.array(own))
+    rows = values.withColumn("_block", F.explode(blocks)).withColumn("_guest", F.col("_block") != own)
+    change = F.col(value) - F.lag(value).over(Window.partitionBy("_block").orderBy("step"))
+    return rows.withColumn("change", change).where("NOT _guest").select("step", "change")
+
+
 def dips(values: DataFrame, k: float = 2.0, value: str = "tokens_per_s") -> DataFrame:
     """Steps whose value is under mean - k * standard deviation."""
     stats = values.agg(F.avg(value).alias("mean"), F.stddev_pop(value).alias("sd"))

@@ -216,5 +216,5 @@ add("approx_shapes", lambda s, d: clips(s, d).groupBy("modality").agg(F.approx_c
 add("exact_percentiles", lambda s, d: tables.clips(s, d).groupBy("modality").agg(r(F.percentile("s", 0.5)).alias("p50"), r(F.percentile("s", 0.9)).alias("p90")), O.with_(O.CLIPS, select="SELECT modality, round(quantile_cont(s, 0.5), 6) AS p50, round(quantile_cont(s, 0.9), 6) AS p90 FROM clips GROUP BY modality"))
 add("arms_full_outer", lambda s, d: (lambda e, u: e.join(u, "step", "full_outer"))(*[steps_of(s, d, p).groupBy("step").agg(r(F.max("t")).alias(f"t_{p}")) for p in ARMS]), O.with_(O.CLIPS, O.stats(), O.run("equal_token", 16, name="e"), O.run("dual", 16, name="u"), select="SELECT coalesce(a.step, b.step) AS step, a.t AS t_equal_token, b.t AS t_dual FROM (SELECT step, round(max(t), 6) AS t FROM e GROUP BY step) a FULL JOIN (SELECT step, round(max(t), 6) AS t FROM u GROUP BY step) b ON a.step = b.step"))
 add("range_join_bands", workloads.range_join, O.with_(O.CLIPS, "bands AS (SELECT * FROM (VALUES ('short', 0, 2000), ('middle', 2000, 20000), ('long', 20000, 1000000)) AS v(band, lo, hi))", select="SELECT band, count(*) AS n, CAST(sum(s) AS BIGINT) AS tokens FROM clips JOIN bands ON s >= lo AND s < hi GROUP BY band"))
-add("lag_loads", lambda s, d: schedule.step_time(steps_of(s, d)).withColumn("block", F.floor(F.col("step") / 64)).withColumn("change", r(F.col("t_sync") - F.lag("t_sync").over(Window.partitionBy("block").orderBy("step")))).select("step", "change"), O.with_(O.CLIPS, O.stats(), O.run("dual", 16), "p AS (SELECT step, max(t) AS t FROM steps GROUP BY step)", select="SELECT step, round(t - lag(t) OVER (PARTITION BY step // 64 ORDER BY step), 6) AS change FROM p"))
+add("lag_loads", lambda s, d: rounded(metrics.changes(schedule.step_time(steps_of(s, d)), "t_sync"), "change"), O.with_(O.CLIPS, O.stats(), O.run("dual", 16), "p AS (SELECT step, max(t) AS t FROM steps GROUP BY step)", select="SELECT step, round(t - lag(t) OVER (PARTITION BY step // 64 ORDER BY step), 6) AS change FROM p"))
 add("sql_functions", workloads.sql_functions, O.with_(O.CLIPS, O.stats(), select=f"SELECT bucket_id, s, CAST({O.size('dual')} AS BIGINT) AS b FROM stats"))

@@ -4,8 +4,8 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import functions as F
 
-from shapebalance.operators import batching, schedule
-from shapebalance.plans import workloads
+from shapebalance.operators import batching, metrics, schedule
+from shapebalance.plans import registry, workloads
 from shapebalance.plans.model import Bounds
 from shapebalance.sources import tables
 
@@ -34,3 +34,19 @@ def test_loss_curves_train_on_every_step(spark, tmp_path):
         curve = curve.sort_values("step")
         assert list(curve["step"]) == list(range(65))
         assert np.allclose(curve["loss"], want)
+
+
+def test_changes_cross_blocks(spark):
+    values = spark.createDataFrame([(k, float(k * k)) for k in range(10)], "step long, t double")
+    got = {r["step"]: r["change"] for r in metrics.changes(values, "t", block=4).collect()}
+    assert got == {0: None} | {k: 2.0 * k - 1 for k in range(1, 10)}
+
+
+def test_lag_loads_of_a_run_of_over_64_steps(spark):
+    d = "/root/testdata/sf0.01"
+    got = registry.QUERIES["lag_loads"](spark, d).toPandas().sort_values("step")
+    t = schedule.step_time(registry.steps_of(spark, d)).toPandas().sort_values("step")
+    assert len(got) == len(t) > 64
+    assert list(got["step"]) == list(t["step"])
+    assert got["change"].isna().sum() == 1
+    assert np.allclose(got["change"], t["t_sync"].diff(), atol=1e-5, equal_nan=True)
