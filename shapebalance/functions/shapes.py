@@ -30,16 +30,17 @@ def token_len(text, mode: str = "words", chars: int = 4) -> Column:
     return F.greatest(F.lit(1).cast("long"), F.size(F.filter(F.split(text, "[ \\t\\n\\r]+"), lambda x: x != "")).cast("long"))
 
 
-def with_seq_len(df: DataFrame, text_mode: str = "none", fixed: int = 0, captions: DataFrame | None = None, cap: int = 512) -> DataFrame:
+def with_seq_len(df: DataFrame, text_mode: str = "none", fixed: int = 0, captions: DataFrame | None = None, cap: int | None = None) -> DataFrame:
     """M2: adds s_text, s_visual and s = s_text + s_visual, at least 1.
 
     text_mode: none; fixed (a constant); actual (column s_text is there); caption (`captions`: caption_id, s_text, joined
-    by sample_id modulo their number, capped). Narrow but for captions, a join that Spark broadcasts when small.
+    by sample_id modulo their number; whole, or cut at `cap` words when that is given). Narrow but for captions, a join that Spark broadcasts when small.
     """
     df = df.withColumn("s_visual", visual_len())
     if text_mode == "caption":
         n = captions.count()
-        caps = captions.select(F.col("caption_id").alias("_cap"), F.least("s_text", F.lit(cap)).alias("s_text"))
+        length = F.col("s_text") if cap is None else F.least("s_text", F.lit(cap))
+        caps = captions.select(F.col("caption_id").alias("_cap"), length.alias("s_text"))
         df = df.withColumn("_cap", F.col("sample_id") % F.lit(max(n, 1))).join(caps, "_cap", "left").drop("_cap").withColumn("s_text", F.coalesce("s_text", F.lit(0)))
     elif text_mode != "actual":
         df = df.withColumn("s_text", F.lit(fixed if text_mode == "fixed" else 0).cast("long"))
