@@ -19,6 +19,9 @@ from ..sources.work import shared_root
 SLICE_BYTES = 500_000
 #: Rows of an id list that may be broadcast; beyond it the join shuffles both sides.
 BROADCAST_IDS = 500_000
+#: A key with over one in HOT_KEYS of all rows is joined by broadcast; there are fewer than HOT_KEYS of these.
+HOT_KEYS = 1000
+
 
 class Work:
     """Work tables of one operator call: Parquet in the shared folder, so that a lost executor costs no recomputation."""
@@ -54,6 +57,20 @@ def semi_join(df: DataFrame, ids: DataFrame, key: str, anti: bool = False) -> Da
     return df.join(ids, key, "left_anti" if anti else "left_semi")
 
 
+def spread_join(rows: DataFrame, values: DataFrame, keys: list[str], total: int | None = None, how: str = "inner") -> DataFrame:
+    """rows with the columns of values, a written table of one row per key whose n bounds the rows of that key.
+
+    Keys with over a HOT_KEYS-th of all rows (`total`, by default the sum of n) are fewer than HOT_KEYS and meet their
+    rows by broadcast; the others are shuffled, and none of them fills a task. n stays. how: inner or left.
+    """
+    if total is None:
+        total = values.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    hot = F.col("n") * HOT_KEYS > total
+    few = values.where(hot)
+    rest = rows.join(F.broadcast(few.select(*keys)), keys, "left_anti").join(values.where(~hot), keys, how)
+    return rows.join(F.broadcast(few), keys).unionByName(rest)
+
+
 def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text", limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
     """Cuts record batches into runs of rows with at most `limit` bytes of text, or one longer row."""
     for batch in batches:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import base64
+import collections
 import hashlib
 import json
 import random
@@ -231,16 +232,60 @@ def test_near_duplicates(docs, none, k):
     assert neardup.near_duplicates(none).count() == 0
 
 
-def test_large_bucket_is_exact(spark):
-    """Groups around the threshold in one hot bucket: blocks find what pairs would."""
+def test_hot_bucket_is_exact(spark):
+    """Groups around the threshold in one hot bucket, with leaders whose followers spread over many tasks."""
     r = random.Random(9)
     base = prose(120)
     rows = [(i, edited(base, r.choice([0, 1, 2, 3, 4, 6, 8]))) for i in range(150)]
     df = spark.createDataFrame(rows, "doc_id long, text string")
-    for config in (neardup.NearDupConfig(words=4, bucket=4, block=2000), neardup.NearDupConfig(words=4)):
+    for config in (neardup.NearDupConfig(words=4, beside=3, block=700), neardup.NearDupConfig(words=4)):
         assert sorted(str(tuple(x)) for x in neardup.near_duplicates(df, config).collect()) == brute_components(rows, 4)
 
 
+def test_thousands_of_near_copies(spark):
+    """5,000 copies of one text and of a longer form of it, edited up to and past the threshold: the components of all pairs."""
+    r = random.Random(10)
+    base, tail = prose(150), prose(70)
+    rows = [(i, edited(base if i % 3 else f"{base} {tail}", r.choice([1, 2, 3, 4, 5, 6, 7, 8, 10]))) for i in range(5000)]
+    sets = []
+    for _, t in rows:
+        w = t.translate({i: i + 32 for i in range(65, 91)}).split(" ")
+        sets.append({tuple(w[i : i + 4]) for i in range(len(w) - 3)})
+    held = collections.Counter(s for x in sets for s in x)
+    column = {s: k for k, s in enumerate(s for s, n in held.items() if n > 1)}
+    m = np.zeros((len(rows), len(column)), np.float32)
+    for i, x in enumerate(sets):
+        m[i, [column[s] for s in x if s in column]] = 1
+    sizes, parent = np.array([len(x) for x in sets]), list(range(len(rows)))
+    find = lambda x: x if parent[x] == x else find(parent[x])
+    for i in range(len(rows)):
+        both = m[: i + 1] @ m[i]
+        for j in np.flatnonzero(100 * both >= 80 * (sizes[: i + 1] + sizes[i] - both))[:-1].tolist():
+            x, y = sorted((find(i), find(j)))
+            parent[y] = x
+    want = {i: find(i) for i in range(len(rows))}
+    assert 3 < len(set(want.values())) < 4000
+    got = neardup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").repartition(4), neardup.NearDupConfig(words=4)).collect()
+    assert {x["doc_id"]: x["component_id"] for x in got} == want and all(x["kept"] == (x["doc_id"] == x["component_id"]) for x in got)
+
+
+def test_deduplication_by_row(spark):
+    """Each row follows its own text, also where ids repeat; rows without words or ids stay."""
+    a, b = prose(30), prose(30)
+    schema = "doc_id long, text string, key string, n long"
+    rows = [(1, a, "k", 1), (5, a, "k", 2), (5, b, "k", 3), (5, b, "k", 4), (6, None, "k", 5), (6, None, "k", 6), (None, a, "k", 7), (7, " ", "k", 8)]
+    df = spark.createDataFrame(rows, schema)
+    out = neardup.deduplicated(df)
+    assert out.columns == df.columns
+    kept = [tuple(x) for x in out.collect()]
+    assert sorted(str(x[:2]) for x in kept) == sorted(map(str, [(1, a), (5, b), (6, None), (6, None), (None, a), (7, " ")]))
+    near = sorted(str(tuple(x)) for x in neardup.near_duplicates(df).collect())
+    assert near == sorted(map(str, [(1, 26, 1, True), (5, 26, 1, False), (5, 26, 5, True), (5, 26, 5, True), (6, 0, 6, True), (6, 0, 6, True), (None, 26, None, True), (7, 0, 7, True)]))
+    unique = df.where("n IN (1, 5, 7) OR n = 3")
+    assert sorted(x["n"] for x in neardup.deduplicated(unique).collect()) == [1, 3, 5, 7]
+    assert neardup.deduplicated(df.where("false")).count() == 0
+
+
 def test_pruning_table():
     n = 128
     for m in (neardup.least_matches(n, 0.8, 1e-7),):
