@@ -1,9 +1,10 @@
 """Exact top-k inner products: a ball tree per shard, searched by branch and bound.
 
-Vectors are dealt into shards of bounded size, each packed into one row; queries into blocks of bounded size. Each
-shard's tree is built once and visited by one block after another. A query opens nodes in the order of their upper
-bounds, q.c + |q| r for a ball of centre c and radius r, and stops at the first bound below its kth score so far. That
-score starts at the kth best over a broadcast sample of bounded size, so all shards share it before they begin.
+Vectors are dealt into shards of bounded size, each packed into one row and sent once; queries into blocks of bounded
+size, which visit the shard's tree one after another. A query opens nodes in the order of their upper bounds,
+q.c + |q| r for a ball of centre c and radius r, and stops at the first bound below its kth score so far. Shards go in
+rounds, each several times as many as all before; after each, a query's best k so far are merged, and their kth score
+is where the next round's searches start, so that later shards are mostly cut at the root.
 """
 
 from __future__ import annotations
@@ -14,13 +15,16 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import Work
 
-#: Vectors in a shard, queries in a block, vectors in a leaf, vectors of the shared sample.
-SHARD, BLOCK, LEAF, SAMPLE = 8192, 512, 64, 2048
+#: Vectors in a shard, queries in a block, vectors in a leaf; shards up to the end of a round by those up to its start.
+SHARD, BLOCK, LEAF, GROWTH = 8192, 512, 64, 4
+#: Whole numbers below this are exact in doubles.
+EXACT = float(1 << 53)
+_LARGEST = (1 << 63) - 1
 
 
 class BallTree:
@@ -53,6 +57,7 @@ class BallTree:
                 place[start:end] = place[start:end][np.argsort(along, kind="stable")]
                 todo += [(start + half, end, node, 1), (start, start + half, node, 0)]
         self.ids, self.vectors = self.ids[place], self.vectors[place]
+        self.top = float(np.abs(self.vectors).max()) if self.vectors.size else 0.0
         self.centres, self.radii = np.array(centres).reshape(len(centres), -1), np.array(radii)
         self.spans, self.children = spans, children
 
@@ -60,10 +65,13 @@ class BallTree:
         """The k best (score, id) of rows with another id than `own` and a score of at least `floor`, ties to smaller ids."""
         if not len(self.radii):
             return []
-        # sums of products of whole numbers are exact in doubles here; bounds get a margin for rounding
         q = query.astype(np.float64)
-        bounds = self.centres @ q + np.sqrt(q @ q) * self.radii
-        bounds += 1e-6 * (1 + np.abs(bounds))
+        size = np.sqrt(q @ q)
+        bounds = self.centres @ q + size * self.radii
+        # a margin for rounding, by the size of what is added up
+        bounds += 1e-6 + 1e-9 * size * (np.sqrt((self.centres * self.centres).sum(axis=1)) + self.radii)
+        small = len(q) * self.top * float(np.abs(q).max(initial=0.0)) < EXACT
+        whole = None if small else [int(x) for x in q]
         best: list[tuple[float, int]] = []  # a heap whose first is the worst: (score, -id)
         heap = [(-bounds[0], 0)]
         while heap:
@@ -78,8 +86,12 @@ class BallTree:
                         heapq.heappush(heap, (-bounds[child], child))
                 continue
             start, end = self.spans[node]
-            scores = self.vectors[start:end] @ q
-            for i in np.flatnonzero(scores >= kth).tolist():
+            if small:  # sums of products are exact in doubles
+                scores = self.vectors[start:end] @ q
+            else:
+                sums = (sum(int(x) * y for x, y in zip(row, whole, strict=True)) for row in self.vectors[start:end].tolist())
+                scores = np.array([max(-_LARGEST, min(_LARGEST, s)) for s in sums], object)
+            for i in np.flatnonzero((scores >= kth).astype(bool)).tolist():
                 item = (scores[i], -int(self.ids[start + i]))
                 if -item[1] == own:
                     continue
@@ -91,73 +103,96 @@ class BallTree:
 
 
 def whole_numbers(vectors: DataFrame, factor: int = 256) -> DataFrame:
-    """vec_id, v array<int>: floor(factor * x) of each component. Rows with null ids or vectors, or with null or non-finite components, go."""
+    """vec_id, n (length), v array<double>: the whole numbers floor(factor * x). Rows with null ids or vectors, or with null or non-finite components, go."""
     ok = F.col("vec_id").isNotNull() & F.col("embedding").isNotNull() & ~F.exists("embedding", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
     rows = vectors.select("vec_id", "embedding").where(ok)
-    return rows.select(F.col("vec_id").cast("long").alias("vec_id"), F.transform("embedding", lambda x: F.floor(x.cast("double") * factor).cast("int")).alias("v"))
+    scaled = F.transform("embedding", lambda x: x.cast("double") * factor)
+    # floor() gives a 64-bit number, which large components exceed; they are whole numbers anyway
+    floors = F.transform(scaled, lambda x: F.when(F.abs(x) < EXACT, F.floor(x).cast("double")).otherwise(x))
+    return rows.select(F.col("vec_id").cast("long").alias("vec_id"), F.size("embedding").alias("n"), floors.alias("v"))
 
 
 def _packed(rows: pd.DataFrame) -> tuple[bytes, bytes]:
-    rows = rows.sort_values("vec_id", kind="stable")
-    return rows["vec_id"].to_numpy(np.int64).tobytes(), np.stack(rows["v"].to_list()).astype("<i4").tobytes() if len(rows) else b""
+    return rows["vec_id"].to_numpy(np.int64).tobytes(), np.stack(rows["v"].to_list()).astype("<f8").tobytes()
 
 
 def _unpack(ids: bytes, data: bytes) -> tuple[np.ndarray, np.ndarray]:
     i = np.frombuffer(ids, np.int64)
-    return i, np.frombuffer(data, "<i4").reshape(len(i), -1)
+    return i, np.frombuffer(data, "<f8").reshape(len(i), -1)
+
+
+_STREAM = "n int, shard long, block long, ids binary, data binary, floors binary"
+
+def _shard(g: pd.DataFrame) -> pd.DataFrame:
+    ids, data = _packed(g.sort_values("vec_id", kind="stable"))
+    return pd.DataFrame({"n": [int(g["n"].iloc[0])], "shard": [int(g["shard"].iloc[0])], "block": [-1], "ids": [ids], "data": [data], "floors": [None]})
+
+
+def _block(g: pd.DataFrame) -> pd.DataFrame:
+    g = g.sort_values("vec_id", kind="stable")
+    ids, data = _packed(g)
+    return pd.DataFrame({"n": [int(g["n"].iloc[0])], "block": [int(g["block"].iloc[0])], "ids": [ids], "data": [data], "floors": [g["floor"].astype(float).fillna(-np.inf).to_numpy().tobytes()]})
+
+
+def _search(k: int):
+    """Of a stream of shards, each followed by its blocks of queries: the best k of each query in the shard."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tree = None
+        for b in batches:
+            for i in range(b.num_rows):
+                row = {x: b.column(x)[i].as_py() for x in ("block", "ids", "data", "floors")}
+                ids, v = _unpack(row["ids"], row["data"])
+                if row["block"] < 0:
+                    tree = BallTree(ids, v)
+                    continue
+                out = []
+                for own, query, floor in zip(ids.tolist(), v, np.frombuffer(row["floors"]).tolist(), strict=True):
+                    out += [(own, x, s) for s, x in tree.search(query, own, k, floor)]
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*out, strict=True)], ["query_id", "vec_id", "score"])
+
+    return run
 
 
 def top_k(vectors: DataFrame, k: int = 5, every: int = 50) -> DataFrame:
     """query_id, rank (from 1), vec_id, score: the k highest inner products of each query over all rows but those with its own id.
 
-    Queries are the rows of vectors (vec_id, embedding; other columns are ignored) whose id is divisible by `every`;
-    vectors must have one length. Ties go to smaller ids; fewer than k others give fewer rows; rows that cannot take
-    part (null or non-finite) are left out; rows that repeat an id are candidates each, and one of them is the query.
-    An empty table gives an empty one. Shards, query blocks and the sample are of bounded size, and each query meets
-    each shard once, so partial results are at most k per query and shard.
+    Queries are the rows of vectors (vec_id, embedding; other columns are ignored) whose id is divisible by `every`; a
+    query is compared with the vectors of its own length. Scores are exact whole numbers; those beyond 64 bits
+    count as the largest or least that fits. Ties go to smaller ids; fewer than k others give fewer rows; rows that
+    cannot take part (null or non-finite) are left out; rows that repeat an id are candidates each, and the least of them
+    by length and numbers is the query. An empty table gives an empty one. Shards and blocks are of bounded size; a shard
+    is sent once, a block once for each shard; a round leaves at most k rows per query and shard, merged by a window.
     """
     spark = vectors.sparkSession
     work = Work(spark)
     rows = work.table(whole_numbers(vectors), "vectors")
-    queries = rows.where(F.col("vec_id") % every == 0)
+    queries = work.table(rows.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min(F.struct("n", "v")).alias("q")).select("vec_id", "q.n", "q.v"), "queries")
     shards, blocks = max(1, -(-rows.count() // SHARD)), max(1, -(-queries.count() // BLOCK))
-    sample = [(r["vec_id"], r["v"]) for r in rows.limit(SAMPLE).collect()]
-    sample_ids, sample_rows = np.array([i for i, _ in sample], np.int64), np.array([v for _, v in sample], np.float64)
-
-    def shard(g: pd.DataFrame) -> pd.DataFrame:
-        ids, data = _packed(g)
-        return pd.DataFrame({"shard": [int(g["shard"].iloc[0])], "ids": [ids], "data": [data]})
-
-    def block(g: pd.DataFrame) -> pd.DataFrame:
-        g = g.drop_duplicates("vec_id")
-        ids, data = _packed(g)
-        q = np.stack(g.sort_values("vec_id", kind="stable")["v"].to_list()).astype(np.float64)
-        floors = np.full(len(q), -np.inf)
-        distinct = np.unique(sample_ids)
-        if len(distinct) > k:  # over k ids, so k of them are not the query's own
-            scores = q @ sample_rows.T
-            scores[sample_ids[None, :] == np.sort(g["vec_id"].to_numpy())[:, None]] = -np.inf
-            floors = -np.partition(-scores, k - 1, axis=1)[:, k - 1]
-        return pd.DataFrame({"block": [0], "qids": [ids], "queries": [data], "floors": [floors.tobytes()]})
-
     # rows with one id meet in one shard; ids are dealt evenly
-    dealt = rows.withColumn("shard", F.pmod(F.xxhash64("vec_id"), F.lit(shards))).groupBy("shard").applyInPandas(shard, "shard long, ids binary, data binary")
-    asked = queries.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(blocks))).groupBy("block").applyInPandas(block, "block long, qids binary, queries binary, floors binary")
-    asked = work.table(asked, "queries").withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1)).cast("array<bigint>")))
-
-    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tree, at = None, None
-        for b in batches:
-            for row in b.to_pylist():
-                if row["shard"] != at:
-                    tree, at = BallTree(*_unpack(row["ids"], row["data"])), row["shard"]
-                out = []
-                ids, q = _unpack(row["qids"], row["queries"])
-                for own, query, floor in zip(ids.tolist(), q, np.frombuffer(row["floors"]).tolist(), strict=True):
-                    out += [(own, i, s) for s, i in tree.search(query, own, k, floor)]
-                if out:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["query_id", "vec_id", "score"])
-
-    found = work.table(dealt, "shards").hint("shuffle_merge").join(asked, "shard").mapInArrow(search, "query_id long, vec_id long, score long")
-    best = found.groupBy("query_id").agg(F.slice(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("s"), "vec_id"))), 1, k).alias("best"))
-    return best.select("query_id", F.posexplode("best").alias("place", "b")).select("query_id", (F.col("place") + 1).cast("int").alias("rank"), "b.vec_id", (-F.col("b.s")).alias("score"))
+    dealt = rows.withColumn("shard", F.pmod(F.xxhash64("vec_id"), F.lit(shards))).groupBy("n", "shard").applyInPandas(_shard, _STREAM)
+    dealt = work.table(dealt, "shards")
+    best, low = None, 0
+    while low < shards:
+        high = min(shards, max(1, low * GROWTH))
+        asked = queries.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)))
+        if best is None:
+            asked = asked.withColumn("floor", F.lit(None).cast("double"))
+        else:
+            kth = best.where(F.col("rank") == k).select(F.col("query_id").alias("vec_id"), F.col("score").cast("double").alias("floor"))
+            asked = asked.join(kth, "vec_id", "left")
+            # a score that a double rounds up must not shut out its equals
+            asked = asked.withColumn("floor", F.when(F.abs("floor") < EXACT, F.col("floor")))
+        packed = asked.groupBy("n", "block").applyInPandas(_block, "n int, block long, ids binary, data binary, floors binary")
+        own = dealt.where((F.col("shard") >= low) & (F.col("shard") < high))
+        visits = work.table(packed, "blocks").withColumn("shard", F.explode(F.sequence(F.lit(low).cast("long"), F.lit(high - 1).cast("long"))))
+        visits = visits.join(own.select("n", "shard"), ["n", "shard"], "left_semi").select(*own.columns)
+        stream = own.unionByName(visits).repartition("n", "shard").sortWithinPartitions("n", "shard", "block")
+        found = stream.mapInArrow(_search(k), "query_id long, vec_id long, score long")
+        if best is not None:
+            found = found.unionByName(best.drop("rank"))
+        order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
+        best = work.table(found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k), "best")
+        low = high
+    return best.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
