@@ -134,7 +134,10 @@ class FactorisationMachine:
 
 
 def train_quality(docs: DataFrame, labels: DataFrame, config: QualityConfig = QualityConfig()) -> FactorisationMachine:
-    """Fits the machine on the driver from the features of a bounded sample of labelled documents that are not held out."""
+    """Fits the machine on the driver from the features of a bounded sample of labelled documents that are not held out.
+
+    Null texts are left out; without labels the machine is its random start.
+    """
     c = config
     ship(docs.sparkSession)
 
@@ -172,7 +175,11 @@ def score_quality(docs: DataFrame, machine: FactorisationMachine) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, machine: FactorisationMachine) -> DataFrame:
-    """The rows of docs predicted 1, all columns kept, in one narrow pass."""
+    """The rows of docs predicted 1, all columns kept, in one narrow pass.
+
+    Null text counts as empty, and empty texts go by their score. Repeated rows and null doc_ids pass like others; an
+    empty table gives an empty one.
+    """
     spark = docs.sparkSession
     ship(spark)
     model = spark.sparkContext.broadcast(machine)

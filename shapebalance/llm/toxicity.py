@@ -1,9 +1,10 @@
 """Toxicity by a classifier chain over hashed words and word beginnings.
 
-Labels know one thing, whether a document is toxic. The chain's categories are read from it and the training texts:
-`marked` (toxic, with a feature that marks toxic texts), `repeated` (toxic, with at least three such features or hits)
-and `toxic`. Each is a logistic model on the same features and on the probabilities of the categories before it; in
-training those come from models that did not see the document. Scores come from text alone.
+Labels know one thing, whether a document is toxic. The chain's categories come from it and the training texts: marks
+are features that toxic texts have almost alone; `severe` are toxic texts whose share of marks reaches the median of
+toxic texts, `mild` the other toxic ones, and `toxic` is the label. Each is a logistic model on the same features and
+on the probabilities of the categories before it. In training those come from models of the other folds, whose
+features, marks and categories are chosen from these folds alone. Scores come from text alone.
 """
 
 from __future__ import annotations
@@ -19,7 +20,7 @@ from pyspark.sql import functions as F
 from .common import Work, ship, text_bytes, text_slices
 from .hashing import span_hashes, word_spans
 
-CATEGORIES = ("marked", "repeated", "toxic")
+CATEGORIES = ("severe", "mild", "toxic")
 
 
 @dataclass(frozen=True)
@@ -93,7 +94,8 @@ class Linear:
 
     def fit(self, rows: np.ndarray, cols: np.ndarray, dense: np.ndarray, y: np.ndarray) -> Linear:
         m = len(y)
-        if not m:
+        if not m:  # nothing is known, so nothing has the category
+            self.b = -30.0
             return self
         square, speed, square_b, speed_b = np.zeros_like(self.w), np.zeros_like(self.w), 0.0, 0.0
         for k in range(1, self.steps + 1):
@@ -111,32 +113,54 @@ class Linear:
 class ToxicityChain:
     """The chain over features 0 .. n-1; hits are (row, feature) pairs with repeats."""
 
-    def __init__(self, hashes: np.ndarray, config: ToxicityConfig):
-        self.c, self.hashes, self.models = config, np.sort(hashes), []
+    def __init__(self, config: ToxicityConfig):
+        self.c, self.hashes, self.models = config, np.zeros(0, np.uint64), []
 
     @staticmethod
     def _presence(rows: np.ndarray, cols: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
         pairs = np.unique(rows.astype(np.int64) * max(n, 1) + cols)
         return pairs // max(n, 1), pairs % max(n, 1)
 
-    def fit(self, rows: np.ndarray, cols: np.ndarray, m: int, toxic: np.ndarray, marks: np.ndarray) -> ToxicityChain:
-        """rows, cols: hits of m documents. toxic: their labels. marks: which features mark toxic texts."""
-        hits = np.bincount(rows, marks[cols], m) if len(rows) else np.zeros(m)
-        labels = {"marked": toxic & (hits > 0), "repeated": toxic & (hits >= 3), "toxic": toxic}
-        n = len(self.hashes)
-        rows, cols = self._presence(rows, cols, n)
-        fold = np.arange(m) % self.c.folds
-        dense = np.zeros((m, 0))
+    def _choose(self, n: np.ndarray, k: np.ndarray, total: float, positive: float) -> tuple[np.ndarray, np.ndarray]:
+        """Features that tell toxic texts from others, by the texts (of `total`) and toxic texts (of `positive`) that have each; and the marks."""
+        p = positive / total if total else 0.0
+        if not 0 < p < 1:
+            return np.zeros(0, np.int64), np.zeros(len(n), bool)
+        z = (k - n * p) / np.sqrt(np.maximum(n, 1) * p * (1 - p))
+        good = np.flatnonzero((n >= self.c.least) & (np.abs(z) >= self.c.z))
+        good = np.sort(good[np.argsort(-np.abs(z[good]), kind="stable")][: self.c.features])
+        marks = np.zeros(len(n), bool)
+        marks[good] = (z[good] > 0) & (k[good] >= 0.8 * n[good])
+        return good, marks
+
+    def fit(self, hashes: np.ndarray, n: np.ndarray, k: np.ndarray, rows: np.ndarray, cols: np.ndarray, size: np.ndarray, toxic: np.ndarray, fold: np.ndarray) -> ToxicityChain:
+        """hashes: candidate features, sorted. n, k: documents and toxic documents of each fold (row) that have each feature
+        (column). rows, cols: hits of the documents; size, toxic, fold of each document."""
+        m, folds = len(toxic), range(self.c.folds)
+        share = lambda marks: np.bincount(rows, marks[cols], m) / np.maximum(size, 1) if len(rows) else np.zeros(m)
+        held = [(fold != f) for f in folds] + [np.ones(m, bool)]
+        views = []
+        for f, own in enumerate(held):
+            kept = [g for g in folds if g != f]
+            good, marks = self._choose(n[kept].sum(axis=0), k[kept].sum(axis=0), own.sum(), toxic[own].sum())
+            rate = share(marks)
+            middle = np.median(rate[own & toxic]) if (own & toxic).any() else 0.0
+            place = np.full(len(hashes), -1)
+            place[good] = np.arange(len(good))
+            pick = place[cols] >= 0
+            severe = toxic & (rate >= max(middle, 1e-12))
+            views.append((good, *self._presence(rows[pick], place[cols[pick]], len(good)), {"severe": severe, "mild": toxic & ~severe, "toxic": toxic}))
+        self.hashes, dense = hashes[views[-1][0]], np.zeros((m, 0))
         for name in CATEGORIES:
-            y = labels[name].astype(float)
-            self.models.append(Linear(n, dense.shape[1], self.c.l2).fit(rows, cols, dense, y))
+            good, r, c, labels = views[-1]
+            self.models.append(Linear(len(good), dense.shape[1], self.c.l2).fit(r, c, dense, labels[name].astype(float)))
             out = np.zeros(m)
-            for k in range(self.c.folds):
-                own = fold != k
-                place = np.cumsum(own) - 1
-                pick = own[rows]
-                model = Linear(n, dense.shape[1], self.c.l2).fit(place[rows[pick]], cols[pick], dense[own], y[own])
-                out[~own] = _sigmoid(model.margin(rows, cols, dense))[~own]
+            for f in folds:
+                good, r, c, labels = views[f]
+                own = held[f]
+                place, pick = np.cumsum(own) - 1, own[r]
+                model = Linear(len(good), dense.shape[1], self.c.l2).fit(place[r[pick]], c[pick], dense[own], labels[name][own].astype(float))
+                out[~own] = _sigmoid(model.margin(r, c, dense))[~own]
             dense = np.column_stack([dense, out])
         return self
 
@@ -157,14 +181,17 @@ def labelled_texts(docs: DataFrame, labels: DataFrame, label: str, n: int, fold:
     """doc_id, text, y of at most n labelled documents that are not held out, by a hash of doc_id. Conflicting labels: the smallest."""
     own = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out(fold)).groupBy("doc_id").agg(F.min(label).alias("y"))
     own = own.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n)  # at most n rows, so it may be broadcast
-    return docs.select("doc_id", "text").join(F.broadcast(own), "doc_id").where("text IS NOT NULL")
+    found = docs.select("doc_id", "text").join(F.broadcast(own), "doc_id").where("text IS NOT NULL")
+    # documents that repeat an id count once each text, and n rows at most reach the driver
+    return found.distinct().orderBy(F.xxhash64("doc_id"), "doc_id", F.xxhash64("text")).limit(n)
 
 
 def train_toxicity(docs: DataFrame, labels: DataFrame, config: ToxicityConfig = ToxicityConfig()) -> ToxicityChain:
     """Fits the chain on a bounded sample of labelled documents.
 
-    The first pass counts, on the executors, in how many toxic and other documents each feature is; the features that
-    tell them apart come to the driver, and with them the sample's hits.
+    The first pass counts, on the executors, in how many toxic and other documents of each fold each feature is; the
+    features that tell them apart in all folds or in all but one come to the driver, and with them the sample's hits.
+    Null texts are left out. Labels of one class alone, or none, give a chain that says what it has seen of them.
     """
     c, work = config, Work(docs.sparkSession)
 
@@ -176,30 +203,36 @@ def train_toxicity(docs: DataFrame, labels: DataFrame, config: ToxicityConfig =
             yield pa.record_batch([b.column("doc_id"), b.column("y"), pa.ListArray.from_arrays(pa.array(at), pa.array(hashes[order].view(np.int64)))], ["doc_id", "y", "features"])
 
     sample = labelled_texts(docs, labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")), "toxic", c.sample, c.held_out)
-    rows = work.table(sample.mapInArrow(features, "doc_id long, y int, features array<long>"), "sample")
-    total, positive = rows.agg(F.count("*"), F.coalesce(F.sum("y"), F.lit(0))).first()
-    if not 0 < positive < total:
-        chosen = []
+    rows = work.table(sample.mapInArrow(features, "doc_id long, y int, features array<long>").withColumn("fold", F.pmod(F.xxhash64("doc_id"), F.lit(c.folds)).cast("int")), "sample")
+    seen = {r["fold"]: (r["n"], r["k"]) for r in rows.groupBy("fold").agg(F.count("*").alias("n"), F.sum("y").alias("k")).collect()}
+    cells = [(F.sum((F.col("fold") == f).cast("long")).alias(f"n{f}"), F.sum(F.when(F.col("fold") == f, F.col("y")).otherwise(0)).alias(f"k{f}")) for f in range(c.folds)]
+    counts = rows.select("fold", "y", F.explode(F.array_distinct("features")).alias("h")).groupBy("h").agg(*[x for cell in cells for x in cell])
+    scores = []
+    for left_out in (None, *range(c.folds)):
+        kept = [f for f in range(c.folds) if f != left_out]
+        total, positive = (sum(seen.get(f, (0, 0))[i] for f in kept) for i in (0, 1))
+        if 0 < positive < total:
+            p, n, k = positive / total, sum(F.col(f"n{f}") for f in kept), sum(F.col(f"k{f}") for f in kept)
+            scores.append(F.when(n >= c.least, F.abs(k - n * p) / F.sqrt(n * (p * (1 - p)))))
+    if scores:
+        best = F.array_max(F.array(*scores))
+        chosen = counts.withColumn("best", best).where(F.col("best") >= c.z).orderBy(F.desc("best"), "h").limit(2 * c.features).collect()
     else:
-        p = positive / total
-        counts = rows.select("y", F.explode(F.array_distinct("features")).alias("h")).groupBy("h").agg(F.count("*").alias("n"), F.sum("y").alias("k")).where(F.col("n") >= c.least)
-        z = ((F.col("k") - F.col("n") * p) / F.sqrt(F.col("n") * (p * (1 - p)))).alias("z")
-        chosen = counts.select("h", "n", "k", z).where(F.abs("z") >= c.z).orderBy(F.abs("z").desc(), "h").limit(c.features).collect()
+        chosen = []
     hashes = np.array([r["h"] for r in chosen], np.int64).view(np.uint64)
     order = np.argsort(hashes)
-    marks = np.array([r["z"] > 0 and r["k"] >= 0.8 * r["n"] for r in chosen], float)[order] if len(chosen) else np.zeros(0)
-    chain = ToxicityChain(hashes, c)
-    kept = F.array(*[F.lit(int(h)) for h in np.sort(hashes).view(np.int64)]) if len(chosen) else None
-    hits = rows.select("doc_id", "y", F.filter("features", lambda h: h.isin([int(x) for x in hashes.view(np.int64)])).alias("hits") if kept is not None else F.expr("array()").cast("array<bigint>").alias("hits"))
-    local = hits.orderBy("doc_id").collect()
+    per_fold = lambda x: np.array([[r[f"{x}{f}"] for r in chosen] for f in range(c.folds)], float).reshape(c.folds, -1)[:, order]
+    wanted = F.filter("features", lambda h: h.isin([int(x) for x in hashes.view(np.int64)])) if len(chosen) else F.expr("array()").cast("array<bigint>")
+    local = rows.select("doc_id", "y", "fold", F.size("features").alias("size"), wanted.alias("hits")).orderBy("doc_id").collect()
     per = [np.array(r["hits"], np.int64).view(np.uint64) for r in local]
     rows_at = np.repeat(np.arange(len(per)), [len(x) for x in per])
-    cols = np.searchsorted(chain.hashes, np.concatenate([np.zeros(0, np.uint64), *per]))
-    return chain.fit(rows_at, cols, len(per), np.array([r["y"] for r in local], int) == 1, marks)
+    cols = np.searchsorted(hashes[order], np.concatenate([np.zeros(0, np.uint64), *per]))
+    column = lambda x: np.array([r[x] for r in local], int)
+    return ToxicityChain(c).fit(hashes[order], per_fold("n"), per_fold("k"), rows_at, cols, column("size"), column("y") == 1, column("fold"))
 
 
 def score_toxicity(docs: DataFrame, chain: ToxicityChain) -> DataFrame:
-    """doc_id, p_marked, p_repeated, p_toxic, rejected of every row of docs (doc_id, text; other columns are ignored).
+    """doc_id, p_severe, p_mild, p_toxic, rejected of every row of docs (doc_id, text; other columns are ignored).
 
     Null and empty texts have the probabilities of no features. Repeated rows and null doc_ids pass through; an empty
     table gives an empty one. Narrow; the model is a few hundred kilobytes.
@@ -219,7 +252,11 @@ def score_toxicity(docs: DataFrame, chain: ToxicityChain) -> DataFrame:
 
 
 def keep_clean(docs: DataFrame, chain: ToxicityChain) -> DataFrame:
-    """The rows of docs that the chain does not reject, all columns kept, in one narrow pass."""
+    """The rows of docs that the chain does not reject, all columns kept, in one narrow pass.
+
+    Null and empty texts have no features and stay, unless most of the labels were toxic. Repeated rows and null doc_ids
+    pass like others; an empty table gives an empty one.
+    """
     spark = docs.sparkSession
     ship(spark)
     model = spark.sparkContext.broadcast(chain)
