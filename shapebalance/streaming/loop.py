@@ -52,32 +52,66 @@ def sessions(events: DataFrame, gap: str = "2 hours", late: str | None = None) -
     return out.select("user_id", F.col("session_window.start").alias("started"), F.col("session_window.end").alias("ended"), "n", "busy")
 
 
-def start_loop(stream: DataFrame, folder: str, target: float, bounds: Bounds = Bounds(), n_ranks: int = 8, least_r2: float = 0.9, least_gain: float = 0.01) -> StreamingQuery:
-    """Per micro-batch, adds the batch's cell sums to the statistics, refits, and writes a new version of the bounds.
+SUMS = "b long, s long, n long, sum_t double, sum_t2 double"
+BOUNDS = "batch long, m_mem double, m_comp double, p double, a double, b double, r2 double"
 
-    Sums are written under the batch's number and replace what an earlier try of it wrote, so a restart counts nothing
-    twice. The statistics are cells, not events. A version is written when the fit is good enough and the bound moves by
-    least_gain. Folder: cells/batch=<n>, bounds/version=<n>; checkpoint beside them.
+
+def _exists(spark: SparkSession, folder: str) -> bool:
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    return path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(path)
+
+
+def _folders(spark: SparkSession, folder: str, name: str) -> list[int]:
+    """Numbers of the subfolders name=<n> that were written to their end."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    if not _exists(spark, folder):
+        return []
+    found = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).listStatus(path)
+    own = [x.getPath().getName() for x in found if x.getPath().getName().startswith(f"{name}=")]
+    return sorted(int(x.partition("=")[2]) for x in own if _exists(spark, f"{folder}/{x}/_SUCCESS"))
+
+
+def start_loop(stream: DataFrame, folder: str, target: float, bounds: Bounds = Bounds(), n_ranks: int = 8, least_r2: float = 0.9, least_gain: float = 0.01, trigger: dict | None = None) -> StreamingQuery:
+    """Per micro-batch, adds its cell sums to those so far, refits, and writes a new version of the bounds.
+
+    A batch's folder holds the sums of all batches up to it, read from the last batch before it, so a batch costs one
+    table of cells whatever came before, and another try of a batch replaces what the first one wrote. A version is
+    written when the fit is good enough and the bound moves by least_gain from the last version in the folder, or from
+    `bounds` if there is none; a restart thus goes on where the loop stopped. trigger: arguments of the stream's trigger,
+    by default availableNow; {"processingTime": "1 minute"} watches a live run. The two last batches' sums are kept.
+    Folder: cells/batch=<n>, bounds/version=<n>; checkpoint beside them.
     """
-    state = {"bound": bounds.m_comp}
 
     def on_batch(rows: DataFrame, number: int) -> None:
         spark = rows.sparkSession
-        trace = rows.select(*trace_columns(n_ranks))
-        sums = trace.groupBy("b", "s").agg(F.count("*").alias("n"), F.sum("t").alias("sum_t"), F.sum(F.col("t") * F.col("t")).alias("sum_t2"))
-        sums.coalesce(1).write.mode("overwrite").parquet(f"{folder}/cells/batch={number}")
-        cells = spark.read.parquet(f"{folder}/cells").groupBy("b", "s").agg(*[F.sum(c).alias(c) for c in ("n", "sum_t", "sum_t2")])
+        own = rows.select(*trace_columns(n_ranks)).groupBy("b", "s").agg(F.count("*").alias("n"), F.sum("t").alias("sum_t"), F.sum(F.col("t") * F.col("t")).alias("sum_t2"))
+        done = [k for k in _folders(spark, f"{folder}/cells", "batch") if k < number]
+        if done:
+            before = spark.read.schema(SUMS).parquet(f"{folder}/cells/batch={done[-1]}")
+            own = own.unionByName(before).groupBy("b", "s").agg(*[F.sum(c).alias(c) for c in ("n", "sum_t", "sum_t2")])
+        own.coalesce(1).write.mode("overwrite").parquet(f"{folder}/cells/batch={number}")
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+        for old in done[:-1]:
+            gone = path(f"{folder}/cells/batch={old}")
+            gone.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(gone, True)
         try:
-            model = to_model(fit_weighted(cells))
+            model = to_model(fit_weighted(spark.read.schema(SUMS).parquet(f"{folder}/cells/batch={number}")))
             new = compute_bound(model, target)
         except ValueError:
             return
-        if model.r2 >= least_r2 and abs(new / state["bound"] - 1) >= least_gain:
-            state["bound"] = new
+        versions = [k for k in _folders(spark, f"{folder}/bounds", "version") if k < number]
+        last = spark.read.schema(BOUNDS).parquet(f"{folder}/bounds/version={versions[-1]}").first()["m_comp"] if versions else bounds.m_comp
+        if model.r2 >= least_r2 and abs(new / last - 1) >= least_gain:
             row = [(number, bounds.m_mem, new, model.p, model.a, model.b, model.r2)]
-            spark.createDataFrame(row, "batch long, m_mem double, m_comp double, p double, a double, b double, r2 double").coalesce(1).write.mode("overwrite").parquet(f"{folder}/bounds/version={number}")
+            spark.createDataFrame(row, BOUNDS).coalesce(1).write.mode("overwrite").parquet(f"{folder}/bounds/version={number}")
+
+    return distinct_events(stream).writeStream.foreachBatch(on_batch).option("checkpointLocation", f"{folder}/checkpoint").trigger(**(trigger or {"availableNow": True})).start()
+
 
-    return distinct_events(stream).writeStream.foreachBatch(on_batch).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
+def latest_cells(spark: SparkSession, folder: str) -> DataFrame:
+    """The sums of all events that the loop has seen."""
+    done = _folders(spark, f"{folder}/cells", "batch")
+    return spark.read.schema(SUMS).parquet(f"{folder}/cells/batch={done[-1]}") if done else spark.createDataFrame([], SUMS)
 
 
 def latest_bounds(spark: SparkSession, folder: str) -> DataFrame:
@@ -90,4 +124,4 @@ def waits_listener(query: StreamingQuery) -> str:
     return json.dumps({"rows": p["numInputRows"], "state": [{"rows": s["numRowsTotal"], "late": s["numRowsDroppedByWatermark"]} for s in p["stateOperators"]]} if p else {})
 
 
-__all__ = ["S_REF", "distinct_events", "event_stream", "latest_bounds", "sessions", "start_loop", "stream_waits", "waits_listener"]
+__all__ = ["S_REF", "distinct_events", "event_stream", "latest_bounds", "latest_cells", "sessions", "start_loop", "stream_waits", "waits_listener"]
