@@ -17,7 +17,7 @@ def assign_buckets(df: DataFrame, kind: str = "shape", width: int = 4096, ladder
     """M4: adds bucket_id and s_pad, the length that its samples are padded to. Narrow.
 
     shape: one bucket per (f, h, w), and per 64 text tokens where s_text is there; linear: lengths in bins of `width`;
-    geometric: powers of two; ladder: the nearest allowed length, the smaller of two equally near (samples over it are cut).
+    geometric: powers of two; ladder: the shortest allowed length that holds the sample, beyond the last one its multiples.
     """
     s = F.col("s")
     if kind == "shape":
@@ -31,7 +31,7 @@ def assign_buckets(df: DataFrame, kind: str = "shape", width: int = 4096, ladder
         top = F.expr("CASE WHEN s <= 1 THEN 1L ELSE shiftleft(1L, length(bin(s - 1))) END")
     elif kind == "ladder":
         steps = F.array(*[F.lit(x).cast("long") for x in ladder])
-        top = F.array_min(F.transform(steps, lambda x: F.struct(F.abs(x - s).alias("apart"), x.alias("to"))))["to"]
+        top = F.coalesce(F.array_min(F.filter(steps, lambda x: x >= s)), F.ceil(s / max(ladder)).cast("long") * max(ladder))
     else:
         raise ValueError(f"unknown kind {kind!r}")
     return df.withColumn("s_pad", top).withColumn("bucket_id", F.concat(F.lit(kind[0]), top.cast("string")))

@@ -32,11 +32,12 @@ def sweep_plan(spark: SparkSession, s_values: list[int], b_levels: list[int], re
     return cells.withColumn("priority", F.when(F.col("s") >= s_long, F.col("b") * F.col("s")).otherwise(0)).select("b", "s", "rep", "priority")
 
 
-def run_benchmark(plan: DataFrame, model: CostModel = CostModel(2.0, 1.2, 2.1, S_REF), ranks: int = 8, executor: str = "model", scale: int = 512) -> DataFrame:
+def run_benchmark(plan: DataFrame, model: CostModel = CostModel(2.0, 1.2, 2.1, S_REF), ranks: int = 8, executor: str = "model", scale: int = 16, block: int = 512) -> DataFrame:
     """A trace (rep, rank, b, s, t) of the planned cells.
 
-    model: the declared generator, ranks differing by a hundredth each. arrow: each cell in a task of its own runs b
-    products of (s / scale) square matrices of synthetic rows and takes the time of those alone.
+    model: the declared generator, ranks differing by a hundredth each. arrow: each cell in a task of its own multiplies
+    b times all pairs of s / scale synthetic rows, `block` rows against all at a time, and takes the time of that alone:
+    work b * (s / scale)^2 in memory for block * s / scale numbers. Making the rows, and one untimed product, come first.
     """
     if executor == "model":
         rows = plan.withColumn("rank", F.explode(F.sequence(F.lit(0), F.lit(ranks - 1))))
@@ -48,10 +49,12 @@ def run_benchmark(plan: DataFrame, model: CostModel = CostModel(2.0, 1.2, 2.1, S
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
-                x = np.ones((max(1, row["s"] // scale), 64), np.float32)
+                x = np.random.default_rng(row["rep"]).random((max(1, row["s"] // scale), 64), np.float32)
+                (x[:block] @ x.T).sum()
                 start = time.perf_counter()
                 for _ in range(row["b"]):
-                    (x @ x.T).sum()
+                    for i in range(0, len(x), block):
+                        (x[i : i + block] @ x.T).sum()
                 yield pa.RecordBatch.from_pylist([{"rep": row["rep"], "rank": row["rep"] % ranks, "b": row["b"], "s": row["s"], "t": time.perf_counter() - start}], pa.schema([("rep", pa.int32()), ("rank", pa.int32()), ("b", pa.int64()), ("s", pa.int64()), ("t", pa.float64())]))
 
     n = plan.count()
@@ -132,7 +135,7 @@ def compute_bound(model: CostModel, target: float) -> float:
 
 
 def residuals(matrix: DataFrame, model: CostModel, band: int = 10_000) -> DataFrame:
-    """Per band of s and in total (band null): cells, mean residual, mean absolute relative error, r2 within."""
+    """Per band of s and in total (band null): cells, mean residual, mean absolute relative error, correlation r of time and fit within."""
     fit = model.a + model.b * _load(F.lit(model.p), model.s_ref)
     rows = matrix.withColumn("fit", fit).withColumn("band", F.floor(F.col("s") / band).cast("long"))
     return rows.rollup("band").agg(F.count("*").alias("n"), F.avg(F.col("t") - F.col("fit")).alias("mean_residual"), F.avg(F.abs(F.col("t") - F.col("fit")) / F.col("t")).alias("mape"), F.corr("t", "fit").alias("r"))

@@ -97,9 +97,20 @@ def idle_share(steps: DataFrame, n_ranks: int) -> DataFrame:
 
 
 def memory_utilisation(steps: DataFrame, m_mem: float) -> DataFrame:
-    """C11: step, highest and mean tokens over m_mem, and the spread across ranks."""
+    """C11: step, highest and mean tokens over m_mem, and the spread across ranks. Tokens are added as whole numbers, so the mean does not depend on their order."""
     u = F.col("tokens") / m_mem
-    return steps.groupBy("step").agg(F.max(u).alias("peak"), F.avg(u).alias("mean"), (F.max(u) - F.min(u)).alias("spread"))
+    return steps.groupBy("step").agg(F.max(u).alias("peak"), (F.sum("tokens") / (F.count("*") * F.lit(m_mem))).alias("mean"), (F.max(u) - F.min(u)).alias("spread"))
+
+
+def spread(values: DataFrame, column: str, high: float | None = None) -> DataFrame:
+    """Of a measure over steps: steps, mean, least, percentiles 5, 50, 95, greatest, and the share over `high`.
+
+    Exact percentiles keep one count for each distinct value; steps are few beside samples.
+    """
+    q = F.percentile(column, F.array(F.lit(0.05), F.lit(0.5), F.lit(0.95)))
+    more = [F.avg((F.col(column) > high).cast("double")).alias("share_high")] if high is not None else []
+    out = values.agg(F.count(column).alias("steps"), F.avg(column).alias("mean"), F.min(column).alias("least"), q.alias("_q"), F.max(column).alias("greatest"), *more)
+    return out.withColumns({f"p{n}": F.col("_q")[i] for i, n in enumerate((5, 50, 95))}).drop("_q")
 
 
 def padding_waste(batches: DataFrame) -> DataFrame:
@@ -136,6 +147,19 @@ def distribution_gap(samples: DataFrame, batches: DataFrame) -> DataFrame:
     return both.withColumn("gap", F.col("after") - F.col("before"))
 
 
+def chi_square(batches: DataFrame) -> DataFrame:
+    """C17: chi-square of the buckets' sample counts (bucket_id, step, b) in the first against the second half of a run's steps, and its degrees of freedom."""
+    top = batches.agg((F.max("step") / 2).alias("mid"))
+    half = lambda late: F.sum(F.when((F.col("step") >= F.col("mid")) if late else (F.col("step") < F.col("mid")), F.col("b")).otherwise(0))
+    cells = batches.crossJoin(F.broadcast(top)).groupBy("bucket_id").agg(half(False).alias("x"), half(True).alias("y"))
+    sums = cells.agg(F.sum("x").alias("sx"), F.sum("y").alias("sy"))
+    share = F.col("sx") / (F.col("sx") + F.col("sy"))
+    want = (F.col("x") + F.col("y")) * share
+    apart = (F.col("x") - want) * (F.col("x") - want)
+    term = apart / want + apart / ((F.col("x") + F.col("y")) * (1 - share))
+    return cells.crossJoin(F.broadcast(sums)).agg(F.sum(term).alias("chi_square"), (F.count("*") - 1).alias("freedom"))
+
+
 def ks_by_half(steps: DataFrame) -> DataFrame:
     """C17: largest distance of the length distributions of a run's first and second half, over distinct lengths."""
     top = steps.agg((F.max("step") / 2).alias("mid"))

@@ -92,7 +92,8 @@ def step_time(steps: DataFrame) -> DataFrame:
 def schedule(samples: DataFrame, policy: str = "dual", n_ranks: int = 16, bounds: Bounds = Bounds(), steps: str = "random", kind: str = "shape", seed: int = SEED, tail: str = "keep", **plan) -> DataFrame:
     """Samples to batches on ranks: buckets, statistics, sizes, batches, steps.
 
-    The batches, a few numbers each, are written to a work folder: numbering and closing steps reads them several times.
+    The batches, a few numbers each, are written to a work folder when this is called, which runs their jobs: numbering and
+    closing steps reads them several times.
     """
     placed = assign_buckets(samples, kind)
     sizes = plan_buckets(bucket_stats(placed), bounds, policy, **plan)
@@ -100,23 +101,33 @@ def schedule(samples: DataFrame, policy: str = "dual", n_ranks: int = 16, bounds
 
 
 def run(samples: DataFrame, policy: str = "dual", n_ranks: int = 16, bounds: Bounds = Bounds(), model: CostModel = CostModel(), noise: float = 0.0, **how) -> DataFrame:
-    """schedule() and simulate()."""
+    """schedule() and simulate(). Like schedule() it runs jobs when called: batches are written before steps are numbered."""
     return simulate(schedule(samples, policy, n_ranks, bounds, **how), model, noise)
 
 
-def balance_tasks(groups: DataFrame, bounds: Bounds, n_slots: int, split: bool = True) -> DataFrame:
-    """Groups (group_id, rows) to task slots so that neither rows nor rows^p pile up in one; adds part, parts, slot, load.
+def balance_tasks(groups: DataFrame, bounds: Bounds, split: bool = True) -> DataFrame:
+    """Groups (group_id, rows) to task slots, none of which exceeds a bound; adds part, parts, size, load, slot.
 
-    A group over a bound is cut in `parts` equal parts when the operator on it can be split. The heaviest parts spread
-    over all slots in turn, forth and back, by exact global rank; no group list reaches the driver.
+    A group over half a bound is cut in `parts` parts of nearly equal size when the operator on it can be split. Parts
+    line up by size, the largest first; a slot is what starts within one half of m_mem in the running sum of sizes and
+    within one half of m_comp in that of loads, so its sums stay under both bounds. (A group that cannot be split and is
+    over half a bound may exceed it, alone with what starts after it.) The number of slots follows from the data. Parts
+    of one size are numbered without a global sort; windows see a row for each distinct size and for each slot.
     """
     n = F.col("rows").cast("double")
-    need = F.greatest(F.lit(1), F.ceil(n / bounds.m_mem), F.ceil(F.pow(F.pow(n, F.lit(bounds.p)) / bounds.m_comp, F.lit(1 / bounds.p)))).cast("int") if split else F.lit(1)
-    parts = groups.withColumn("parts", need).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    parts = parts.withColumn("load", F.pow(n / F.col("parts"), F.lit(bounds.p))).withColumn("k", key(SEED, "group_id", "part"))
-    placed = ranked(parts, "g", "k", order=(("load", False),))
-    turn, at = F.floor(F.col("g") / n_slots) % 2, F.col("g") % n_slots
-    return placed.withColumn("slot", F.when(turn == 0, at).otherwise(n_slots - 1 - at).cast("int")).drop("k", "g")
+    half_m, half_c = bounds.m_mem / 2, bounds.m_comp / 2
+    need = F.greatest(F.lit(1), F.ceil(n / half_m), F.ceil(F.pow(F.pow(n, F.lit(bounds.p)) / half_c, F.lit(1 / bounds.p)))).cast("long") if split else F.lit(1).cast("long")
+    parts = groups.withColumn("parts", need).withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)))
+    parts = parts.withColumn("size", F.expr("(rows + parts - 1 - part) DIV parts")).withColumn("k", key(SEED, "group_id", "part"))
+    load = F.pow(F.col("size").cast("double"), F.lit(bounds.p))
+    before = Window.partitionBy(F.lit(0)).orderBy(F.desc("size")).rowsBetween(Window.unboundedPreceding, -1)
+    sizes = parts.groupBy("size").agg(F.count("*").alias("_n"))
+    sizes = sizes.select("size", F.coalesce(F.sum(F.col("_n") * F.col("size")).over(before), F.lit(0)).alias("_rows"), F.coalesce(F.sum(F.col("_n") * load).over(before), F.lit(0.0)).alias("_load"))
+    placed = ranked(parts, "_at", "k", within=("size",)).join(sizes, "size").withColumn("load", load)
+    cell = {"_cm": F.floor((F.col("_rows") + F.col("_at") * F.col("size")) / half_m), "_cc": F.floor((F.col("_load") + F.col("_at") * F.col("load")) / half_c)}
+    placed = placed.withColumns(cell)
+    slots = placed.select("_cm", "_cc").distinct().withColumn("slot", (F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("_cm", "_cc")) - 1).cast("long"))
+    return placed.join(slots, ["_cm", "_cc"]).drop("k", "_at", "_rows", "_load", "_cm", "_cc")
 
 
 def to_slots(df: DataFrame, slot: str, n_slots: int) -> DataFrame:

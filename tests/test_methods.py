@@ -1,5 +1,6 @@
 """Hand cases and properties of the methods."""
 
+import hashlib
 import math
 
 import numpy as np
@@ -154,6 +155,125 @@ def test_tiles_and_partitions_do_not_matter(spark):
         assert np.allclose(got[["grad_shift", "grad_scale"]], base[["grad_shift", "grad_scale"]], atol=1e-9)
 
 
+def test_ordered_merge_gives_the_same_bits(spark):
+    """float32 sums, in the tiles' order: equal for any partitioning and Arrow batch size, and near those in float64."""
+    x = tables.activations(spark, SF)
+    seen = []
+    for n, size in ((1, 10_000), (5, 37), (3, 256)):
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
+        try:
+            got = adaln.grad_params(x.repartition(n, F.rand(n)), "tiled", n_tile=100, acc="float32", ordered=True).toPandas().sort_values(["label", "d"], ignore_index=True)
+        finally:
+            spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+        seen.append(got)
+    assert seen[0].equals(seen[1]) and seen[0].equals(seen[2])
+    full = adaln.grad_params(x, "strided").toPandas().sort_values(["label", "d"], ignore_index=True)
+    gap = np.abs(full[["grad_shift", "grad_scale"]].to_numpy() - seen[0][["grad_shift", "grad_scale"]].to_numpy()).max()
+    assert 0 < gap < 1e-4
+    assert adaln.grad_params(x.where("false"), "tiled", ordered=True).count() == 0
+
+
+def test_missing_vectors_and_parameters_give_nulls(spark):
+    schema = "vec_id long, label int, x array<double>, dy array<double>"
+    v = [1.0, 3.0, 2.0, 0.0]
+    x = spark.createDataFrame([(0, 0, v, v), (1, 7, v, v), (2, None, v, v), (3, 0, None, v), (4, 0, v, None)], schema).coalesce(1)
+    p = spark.createDataFrame([(0, [0.0] * 4, [1.0] * 4, [1.0] * 4)], "label int, shift array<double>, scale array<double>, gate array<double>")
+    for impl in ("sql", "arrow", "discrete"):
+        out = {r["vec_id"]: r["y"] for r in adaln.forward(x, p, impl).collect()}
+        assert len(out) == 5 and {i for i, y in out.items() if y is None} == {1, 2, 3}, impl
+    lost = x.where("vec_id = 1")
+    assert [r["y"] for r in adaln.forward(lost, p, "arrow").collect()] == [None]
+    sums = []
+    for impl in ("tiled", "wide", "strided"):
+        sums.append(sorted((str(r["label"]), r["d"], round(r["grad_shift"], 9), round(r["grad_scale"], 9)) for r in adaln.grad_params(x, impl).collect()))
+    sums.append(sorted((str(r["label"]), r["d"], round(r["grad_shift"], 9), round(r["grad_scale"], 9)) for r in adaln.grad_params(x, "tiled", ordered=True).collect()))
+    assert sums[0] == sums[1] == sums[2] == sums[3] and {r[0] for r in sums[0]} == {"0", "7", "None"}
+    assert {r["vec_id"] for r in adaln.grad_input(x, p).collect() if r["dx"] is None} == {1, 2, 3, 4}
+    assert {r["vec_id"] for r in adaln.gate_norm(x, "dy", p).collect() if r["y"] is None} == {1, 2, 3, 4}
+    assert {r["vec_id"] for r in adaln.qk_norm(x, "x", "dy", heads=2).collect() if r["q"] is None or r["k"] is None} == {3, 4}
+
+
+@pytest.mark.parametrize("kind", ["rms", "layer"])
+def test_head_norms_with_weights(spark, kind):
+    x, wq, wk = tables.activations(spark, SF), [0.5 + d / 64 for d in range(64)], [2.0 - d / 64 for d in range(64)]
+    a, b = ({r["vec_id"]: (r["q"], r["k"]) for r in adaln.qk_norm(x, "x", "dy", kind=kind, impl=i, weight_q=wq, weight_k=wk).collect()} for i in ("arrow", "discrete"))
+    assert a.keys() == b.keys() and all(np.allclose(a[i], b[i], atol=1e-9) for i in a)
+
+
+def test_gate_before_norm(spark):
+    x, p = tables.activations(spark, SF), tables.modulation(spark, SF)
+    a, b = ({r["vec_id"]: r["y"] for r in adaln.gate_norm(x, "dy", p, "gate_then_norm", impl=i).collect()} for i in ("arrow", "discrete"))
+    assert a.keys() == b.keys() and all(np.allclose(a[i], b[i], atol=1e-9) for i in a)
+
+
+def test_slots_hold_both_bounds(spark):
+    b = Bounds(100.0, 1000.0, 2.0)
+    groups = spark.createDataFrame([(i, n) for i, n in enumerate([1, 2, 3, 5, 8, 13, 21, 34, 55, 500] * 20)], "group_id long, rows long")
+    out = schedule.balance_tasks(groups, b).toPandas()
+    assert out.groupby("group_id")["size"].sum().tolist() == [r["rows"] for r in groups.orderBy("group_id").collect()]
+    per = out.groupby("slot").agg({"size": "sum", "load": "sum"})
+    assert (per["size"] <= b.m_mem).all() and (per["load"] <= b.m_comp).all()
+    assert len(per) <= 2 * out["size"].sum() / b.m_mem + 2 * out["load"].sum() / b.m_comp + 1
+    assert schedule.balance_tasks(groups.where("false"), b).count() == 0
+
+
+def test_longest_processing_time_first(spark):
+    """Placement against a plain loop over windows of 8 steps."""
+    got = schedule.schedule(tables.clips(spark, "/root/testdata/sf0.01"), n_ranks=4, steps="lpt").toPandas()
+    key = lambda x: hashlib.md5(f"42:{x}".encode()).hexdigest()
+    rows = sorted((key(r.batch_id), r.b * float(r.s) ** 2, r.batch_id) for r in got.itertuples())
+    want = {}
+    for w in range(0, len(rows), 32):
+        total, used = [0.0] * 4, [0] * 4
+        for _, load, i in sorted(rows[w : w + 32], key=lambda x: (-x[1], x[0])):
+            r = min((r for r in range(4) if used[r] < 8), key=lambda r: (total[r], r))
+            want[i] = (w // 32 * 8 + used[r], r)
+            total[r] += load
+            used[r] += 1
+    assert {r.batch_id: (r.step, r.rank) for r in got.itertuples()} == want
+
+
+def test_loss_measures(spark):
+    """Gap and spikes against pandas."""
+    import pandas as pd
+
+    rng = np.random.default_rng(2)
+    a, b = (pd.DataFrame({"step": range(60), "loss": 2 * 0.97 ** np.arange(60) + rng.normal(0, 0.01, 60)}) for _ in range(2))
+    b.loc[[40, 45], "loss"] += 1.0
+    smooth = lambda x: x["loss"].rolling(10, min_periods=1).mean()
+    gap = (smooth(a) - smooth(b)).abs() / smooth(a)
+    got = metrics.loss_gap(spark.createDataFrame(a), spark.createDataFrame(b)).first()
+    assert math.isclose(got["max_gap"], gap.max()) and math.isclose(got["mean_gap"], gap.mean())
+    assert sorted(r["step"] for r in metrics.spikes(spark.createDataFrame(b), 30, 60).collect()) == [40, 45]
+    assert metrics.spikes(spark.createDataFrame(b), 0, 40).where("step > 20").count() == 0
+
+
+def test_ladder_holds_its_samples(spark):
+    df = spark.createDataFrame([(i, s) for i, s in enumerate((1, 256, 257, 30_000, 52_800, 52_801, 200_000))], "sample_id long, s long")
+    got = [r["s_pad"] for r in batching.assign_buckets(df, "ladder").orderBy("sample_id").collect()]
+    assert got == [256, 256, 640, 36_000, 52_800, 105_600, 211_200]
+
+
+def test_ranks_are_those_of_a_plain_window(spark):
+    from shapebalance.operators.ranks import key, ranked
+
+    df = spark.range(3000).select("id", (F.col("id") % 7).alias("v"), (F.col("id") % 3).alias("w")).withColumn("k", key(5, "id"))
+    for within, order in (((), ()), (("w",), ()), ((), (("v", False),)), (("w",), (("v", True),))):
+        got = {r["id"]: r["g"] for r in ranked(df, "g", "k", within, order).collect()}
+        rows = sorted(df.collect(), key=lambda r: (*(r[c] for c in within), *(r[c] if up else -r[c] for c, up in order), r["k"]))
+        seen: dict = {}
+        for r in rows:
+            at = tuple(r[c] for c in within)
+            assert got[r["id"]] == seen.setdefault(at, 0)
+            seen[at] += 1
+
+
+def test_measured_times_grow_with_load(spark):
+    plan = costmodel.sweep_plan(spark, [4000, 24_000, 48_000], [1, 3], 3)
+    m = costmodel.sync_matrix(costmodel.run_benchmark(plan, executor="arrow"), "median").toPandas().set_index(["b", "s"])["t"]
+    assert len(m) == 6 and m[(1, 48_000)] > 2 * m[(1, 4000)] and m[(3, 48_000)] > 1.5 * m[(1, 48_000)]
+
+
 def test_published_tables(spark):
     k = graphmem.kernel_table(spark).toPandas().set_index("n_k")
     assert round(k.loc[8, "fwd_speedup"], 2) == 3.12 and round(k.loc[64, "fwd_speedup"], 2) == 3.39  # prose starts at 3.21
