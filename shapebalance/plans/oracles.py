@@ -24,6 +24,9 @@ clips AS (
 )"""
 
 
+STRIPPED = "regexp_replace(html, '<[^>]*>', ' ', 'g')"
+
+
 def words(column: str) -> str:
     return f"greatest(1, len(list_filter(string_split_regex(coalesce({column}, ''), '[ \\t\\n\\r]+'), lambda x: x <> '')))"
 
@@ -72,6 +75,16 @@ def run(policy: str, n: int, steps_policy: str = "random", name: str = "steps")
     return f"{batches(policy, name=f'{name}_b')}, {steps(n, steps_policy, f'{name}_b', name)}"
 
 
+def text_run(corpus: str, policy: str, n: int, bounds: Bounds, model: CostModel, select: str) -> str:
+    """A run over text lengths in geometric buckets; `select` reads it from steps."""
+    source = {
+        "documents": f"SELECT doc_id AS id, CAST({words('text')} AS BIGINT) AS s FROM documents", "benchmark": f"SELECT item_id AS id, CAST({words('text')} AS BIGINT) AS s FROM benchmark",
+        "conversations": f"SELECT conv_id AS id, CAST(sum({words('text')}) AS BIGINT) AS s FROM conversations GROUP BY conv_id", "pages": f"SELECT page_id AS id, CAST({words(STRIPPED)} AS BIGINT) AS s FROM pages",
+    }
+    own = f"clips AS (SELECT id AS sample_id, s, top, concat('g', top) AS bucket_id FROM (SELECT id, s, CAST(CASE WHEN s <= 1 THEN 1 ELSE 1 << length(bin(s - 1)) END AS BIGINT) AS top FROM ({source[corpus]})))"
+    return f"SELECT * FROM ({with_(own, stats('clips', 'max(top)'), batches(policy, bounds, 'own'), steps(n, 'random', 'own', 'steps', model), select=select)})"
+
+
 def with_(*ctes: str, select: str) -> str:
     return f"WITH {', '.join(ctes)} {select}"
 

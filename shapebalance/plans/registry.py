@@ -50,8 +50,8 @@ def steps_of(spark, d, policy="dual", n=16, how="random") -> DataFrame:
 add("seq_len_clips", lambda s, d: tables.clips(s, d), O.with_(O.CLIPS, select="SELECT sample_id, modality, CAST(f AS INTEGER) AS f, h, w, s_text, s_visual, s FROM clips"))
 add("seq_len_documents", lambda s, d: tables.text_samples(s, d, "documents"), f"SELECT doc_id AS sample_id, 'documents' AS corpus, CAST({O.words('text')} AS BIGINT) AS s FROM documents")
 add("seq_len_conversations", lambda s, d: tables.text_samples(s, d, "conversations"), f"SELECT conv_id AS sample_id, 'conversations' AS corpus, CAST(sum({O.words('text')}) AS BIGINT) AS s FROM conversations GROUP BY conv_id")
-add("seq_len_pages", lambda s, d: tables.text_samples(s, d, "pages"), f"SELECT page_id AS sample_id, 'pages' AS corpus, CAST({O.words(chr(114) + 'egexp_replace(html, ' + chr(39) + '<[^>]*>' + chr(39) + ', ' + chr(39) + ' ' + chr(39) + ', ' + chr(39) + 'g' + chr(39) + ')')} AS BIGINT) AS s FROM pages")
-add("seq_len_caption", lambda s, d: tables.clips(s, d, "caption").select("sample_id", "s_text", "s"), O.with_(O.CLIPS, f"caps AS (SELECT doc_id, least(512, CAST({O.words('text')} AS BIGINT)) AS n FROM documents)", select="SELECT sample_id, coalesce(n, 0) AS s_text, s_visual + coalesce(n, 0) AS s FROM clips LEFT JOIN caps ON doc_id = sample_id % (SELECT count(*) FROM documents)"))
+add("seq_len_pages", lambda s, d: tables.text_samples(s, d, "pages"), f"SELECT page_id AS sample_id, 'pages' AS corpus, CAST({O.words(O.STRIPPED)} AS BIGINT) AS s FROM pages")
+add("seq_len_caption", lambda s, d: tables.clips(s, d, "caption").select("sample_id", "s_text", "s"), O.with_(O.CLIPS, f"caps AS (SELECT doc_id, CAST({O.words('text')} AS BIGINT) AS n FROM documents)", select="SELECT sample_id, coalesce(n, 0) AS s_text, s_visual + coalesce(n, 0) AS s FROM clips LEFT JOIN caps ON doc_id = sample_id % (SELECT count(*) FROM documents)"))
 add("token_len_chars", lambda s, d: tables.table(s, d, "documents").select("doc_id", token_len("text", "chars").alias("s")), "SELECT doc_id, CAST(greatest(1, (length(coalesce(text, '')) + 3) // 4) AS BIGINT) AS s FROM documents")
 add("visual_len_rounding", lambda s, d: tables.clips(s, d).select("sample_id", visual_len(rounding="ceil").alias("up"), visual_len().alias("down")), O.with_(O.CLIPS, select="SELECT sample_id, CAST(((f - 1 + 7) // 8 + 1) * ((h + 15) // 16) * ((w + 15) // 16) AS BIGINT) AS up, s_visual AS down FROM clips"))
 
@@ -59,7 +59,7 @@ add("visual_len_rounding", lambda s, d: tables.clips(s, d).select("sample_id", v
 add("bucket_stats", stats, O.with_(O.CLIPS, O.stats(), select="SELECT * FROM stats"))
 add("bucket_linear", lambda s, d: batching.bucket_stats(batching.assign_buckets(tables.text_samples(s, d, "documents"), "linear", 256)), O.with_(f"docs AS (SELECT CAST({O.words('text')} AS BIGINT) AS s FROM documents)", "b AS (SELECT s, CAST(ceil(s / 256.0) AS BIGINT) * 256 AS top, concat('l', CAST(ceil(s / 256.0) AS BIGINT) * 256) AS bucket_id FROM docs)", O.stats("b", "max(top)"), select="SELECT * FROM stats"))
 add("bucket_geometric", lambda s, d: batching.bucket_stats(batching.assign_buckets(tables.text_samples(s, d, "documents"), "geometric")), O.with_(f"docs AS (SELECT CAST({O.words('text')} AS BIGINT) AS s FROM documents)", "t AS (SELECT s, CASE WHEN s <= 1 THEN 1 ELSE 1 << length(bin(s - 1)) END AS top FROM docs)", "b AS (SELECT s, CAST(top AS BIGINT) AS top, concat('g', top) AS bucket_id FROM t)", O.stats("b", "max(top)"), select="SELECT * FROM stats"))
-add("bucket_ladder", lambda s, d: batching.bucket_stats(batching.assign_buckets(tables.clips(s, d), "ladder")), O.with_(O.CLIPS, f"steps AS (SELECT CAST(unnest([{O.LADDER_SQL}]) AS BIGINT) AS step)", "near AS (SELECT sample_id, s, arg_min(step, abs(step - s) * 100000 + step) AS top FROM clips, steps GROUP BY sample_id, s)", "b AS (SELECT s, top, concat('l', top) AS bucket_id FROM near)", O.stats("b", "max(top)"), select="SELECT * FROM stats"))
+add("bucket_ladder", lambda s, d: batching.bucket_stats(batching.assign_buckets(tables.clips(s, d), "ladder")), O.with_(O.CLIPS, f"steps AS (SELECT CAST(unnest([{O.LADDER_SQL}]) AS BIGINT) AS step)", "near AS (SELECT sample_id, s, min(step) AS top FROM clips, steps WHERE step >= s GROUP BY sample_id, s)", "b AS (SELECT s, top, concat('l', top) AS bucket_id FROM near)", O.stats("b", "max(top)"), select="SELECT * FROM stats"))
 for policy, name in (("dual", "batch_dual"), ("equal_token", "batch_equal_token"), ("memory", "batch_memory_only"), ("compute", "batch_compute_only"), ("fixed", "batch_fixed")):
     add(name, lambda s, d, p=policy: batching.plan_buckets(stats(s, d), B, p).select("bucket_id", "n", "s", "b"), O.with_(O.CLIPS, O.stats(), select=f"SELECT bucket_id, n, s, CAST({O.size(policy)} AS BIGINT) AS b FROM stats"))
 add("batch_manual", lambda s, d: batching.plan_buckets(stats(s, d), B, "manual", table=s.createDataFrame([("1x640x640", 64), ("233x640x640", 1)], "bucket_id string, b int")).select("bucket_id", "b"), O.with_(O.CLIPS, O.stats(), select="SELECT bucket_id, CAST(CASE bucket_id WHEN '1x640x640' THEN 64 WHEN '233x640x640' THEN 1 ELSE 4 END AS BIGINT) AS b FROM stats"))
@@ -105,7 +105,43 @@ def _arms_cv(n):
 
 add("imbalance_drop", lambda s, d: workloads.imbalance_drop(s, d, 16), _arms_cv(16))
 add("idle_share", lambda s, d: rounded(metrics.idle_share(steps_of(s, d), 16), "wait", "idle_share"), O.with_(O.CLIPS, O.stats(), O.run("dual", 16), 'per AS (SELECT sum(t_sync - t) AS w, max(t_sync) AS t FROM steps WHERE "full" GROUP BY step)', select="SELECT round(sum(w), 6) AS wait, round(sum(w) / (16 * sum(t)), 6) AS idle_share FROM per"))
-add("memory_utilisation", lambda s, d: rounded(metrics.memory_utilisation(steps_of(s, d), B.m_mem), "peak", "mean", "spread"), O.with_(O.CLIPS, O.stats(), O.run("dual", 16), select="SELECT step, round(max(tokens / 144000.0), 6) AS peak, round(avg(tokens / 144000.0), 6) AS mean, round(max(tokens / 144000.0) - min(tokens / 144000.0), 6) AS spread FROM steps GROUP BY step"))
+add("memory_utilisation", lambda s, d: rounded(metrics.memory_utilisation(steps_of(s, d), B.m_mem), "peak", "mean", "spread"), O.with_(O.CLIPS, O.stats(), O.run("dual", 16), select="SELECT step, round(max(tokens / 144000.0), 6) AS peak, round(sum(tokens) / (count(*) * 144000.0), 6) AS mean, round(max(tokens / 144000.0) - min(tokens / 144000.0), 6) AS spread FROM steps GROUP BY step"))
+
+
+# ---- both arms side by side ------------------------------------------------------------------------------------------
+ARM_STEPS = [O.CLIPS, O.stats()]
+_spread = lambda v, digits, high="": f"count({v}) AS steps, round(avg({v}), {digits}) AS mean, round(min({v}), {digits}) AS least, round(max({v}), {digits}) AS greatest, " + ", ".join(f"round(quantile_cont({v}, {q}), {digits}) AS p{n}" for q, n in ((0.05, 5), (0.5, 50), (0.95, 95))) + high
+
+
+def both_arms(spark, d, measure, n: int, column: str, digits: int = 6, high: float | None = None) -> DataFrame:
+    """A measure's distribution over the steps of both arms."""
+    out = None
+    for arm in ARMS:
+        one = metrics.spread(measure(steps_of(spark, d, arm, n)), column, high)
+        one = rounded(one, *[c for c in one.columns if c != "steps"], digits=digits).withColumn("arm", F.lit(arm))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def both_sql(n: int, per: str, value: str, digits: int = 6, high: str = "") -> str:
+    runs = [O.run(arm, n, name=arm) for arm in ARMS]
+    parts = [f"SELECT '{arm}' AS arm, {_spread(value, digits, high)} FROM ({per.format(steps=arm)})" for arm in ARMS]
+    return O.with_(*ARM_STEPS, *runs, select=" UNION ALL ".join(parts))
+
+
+for n in (8, 16):
+    for q in metrics.QUANTITIES:
+        add(f"range_ratio_{n}_arms_{q}", lambda s, d, n=n, q=q: both_arms(s, d, metrics.range_ratio, n, f"range_{q}"), both_sql(n, f'SELECT (max({q}) - min({q})) / max({q}) AS v FROM {{steps}} WHERE "full" GROUP BY step', "v"))
+    add(f"compute_cv_{n}_arms", lambda s, d, n=n: both_arms(s, d, metrics.compute_cv, n, "cv", high=0.55), both_sql(n, 'SELECT stddev_pop(load) / avg(load) AS v FROM {steps} WHERE "full" GROUP BY step', "v", high=", round(avg(CASE WHEN v > 0.55 THEN 1.0 ELSE 0.0 END), 6) AS share_high"))
+    add(f"throughput_floor_{n}", lambda s, d, n=n: both_arms(s, d, metrics.series, n, "tokens_per_s", 4), both_sql(n, "SELECT sum(tokens) / max(t) AS v FROM {steps} GROUP BY step", "v", 4))
+add("scaling", workloads.scaling, O.with_(*ARM_STEPS, *[O.run(arm, n, name=f"{arm}_{n}") for arm in ARMS for n in (8, 16)], *[f"v_{arm}_{n} AS (SELECT sum(k) / sum(t) AS v FROM (SELECT sum(tokens) AS k, max(t) AS t FROM {arm}_{n} GROUP BY step))" for arm in ARMS for n in (8, 16)], select=" UNION ALL ".join(f"SELECT '{arm}' AS arm, round(v_{arm}_16.v / (2 * v_{arm}_8.v), 6) AS efficiency FROM v_{arm}_8, v_{arm}_16" for arm in ARMS)))
+_use = lambda arm: f"u_{arm} AS (SELECT max(tokens) / 144000.0 AS peak, sum(tokens) / (count(*) * 144000.0) AS mean FROM {arm})"
+add("memory_utilisation_arms", workloads.memory_arms, O.with_(*ARM_STEPS, *[O.run(arm, 16, name=arm) for arm in ARMS], *[_use(arm) for arm in ARMS], select=" UNION ALL ".join(f"SELECT '{arm}' AS arm, round(u_{arm}.peak, 6) AS peak, round(u_{arm}.mean, 6) AS mean, round(u_{arm}.mean / u_equal_token.mean - 1, 6) AS mean_gain FROM u_equal_token" + ("" if arm == "equal_token" else f", u_{arm}") for arm in ARMS)))
+_halves = "h AS (SELECT max(step) / 2 AS mid FROM steps)"
+add("length_shift", lambda s, d: rounded(metrics.ks_by_half(steps_of(s, d)), "ks"), O.with_(*ARM_STEPS, O.run("dual", 16), _halves, "n AS (SELECT s, sum(CASE WHEN step < mid THEN b ELSE 0 END) AS x, sum(CASE WHEN step >= mid THEN b ELSE 0 END) AS y FROM steps, h GROUP BY s)", select="SELECT round(max(gap), 6) AS ks FROM (SELECT abs(sum(x) OVER (ORDER BY s) / (SELECT sum(x) FROM n) - sum(y) OVER (ORDER BY s) / (SELECT sum(y) FROM n)) AS gap FROM n)"))
+add("bucket_chi_square", lambda s, d: rounded(metrics.chi_square(steps_of(s, d)), "chi_square", digits=4), O.with_(*ARM_STEPS, O.run("dual", 16), _halves, "n AS (SELECT bucket_id, CAST(sum(CASE WHEN step < mid THEN b ELSE 0 END) AS DOUBLE) AS x, CAST(sum(CASE WHEN step >= mid THEN b ELSE 0 END) AS DOUBLE) AS y FROM steps, h GROUP BY bucket_id)", "p AS (SELECT sum(x) / (sum(x) + sum(y)) AS share FROM n)", select="SELECT round(sum(pow(x - (x + y) * share, 2) / ((x + y) * share) + pow(y - (x + y) * (1 - share), 2) / ((x + y) * (1 - share))), 4) AS chi_square, count(*) - 1 AS freedom FROM n, p"))
+add("crossover", lambda s, d: s.createDataFrame([(p, batching.crossover_len(Bounds(144_000.0, m, p))) for p, m in ((2.0, B.m_comp), (2.1, 5e9))], "p double, s double").select("p", r("s", 4).alias("s")), f"SELECT p, round(pow(m / 144000.0, 1 / (p - 1)), 4) AS s FROM (VALUES (2.0::DOUBLE, {B.m_comp}::DOUBLE), (2.1::DOUBLE, 5e9::DOUBLE)) AS v(p, m)")
+add("memory_bound", lambda s, d: s.createDataFrame([(c, batching.memory_bound(c, 40e9, 5e5)) for c in (80e9, 139e9)], "capacity double, tokens double"), "SELECT capacity, (capacity - 40e9) / 5e5 AS tokens FROM (VALUES (80e9::DOUBLE), (139e9::DOUBLE)) AS v(capacity)")
 add("padding_waste", lambda s, d: rounded(metrics.padding_waste(batching.sorted_padded_batches(tables.clips(s, d))), "waste"), O.with_(ORACLES["batch_sorted_padded"].removeprefix("WITH ").rpartition(" SELECT run, CAST(")[0], "p AS (SELECT max(s) AS s, count(*) AS b, sum(s) AS k FROM t GROUP BY run, (r % 1024) // greatest(1, CAST(floor(144000.0 / top) AS BIGINT)))", select="SELECT CAST(sum(k) AS BIGINT) AS real_tokens, CAST(sum(b * s) AS BIGINT) AS padded_tokens, round(1 - sum(k) / sum(b * s), 6) AS waste FROM p"))
 add("load_correlations", lambda s, d: rounded(metrics.load_correlations(steps_of(s, d, "equal_token"), 2.1), "r_tokens", "r_s2", "r_bs2", "r_bsp"), O.with_(O.CLIPS, O.stats(), O.run("equal_token", 16), select="SELECT count(*) AS n, round(corr(t, CAST(tokens AS DOUBLE)), 6) AS r_tokens, round(corr(t, CAST(s AS DOUBLE) * s), 6) AS r_s2, round(corr(t, b * CAST(s AS DOUBLE) * s), 6) AS r_bs2, round(corr(t, b * pow(CAST(s AS DOUBLE), 2.1)), 6) AS r_bsp FROM steps"))
 
@@ -115,7 +151,8 @@ _cells = f"c AS (SELECT CAST(s AS BIGINT) AS s, CAST(b AS BIGINT) AS b FROM (SEL
 for mode, keep in (("grid", "true"), ("throughput", "c.s >= 20000 OR c.b = lo OR c.b = hi")):
     add(f"sweep_plan_{mode}", lambda s, d, m=mode: costmodel.sweep_plan(s, S_VALUES, B_LEVELS, mode=m), f"WITH {_cells} SELECT c.b, c.s, rep, CASE WHEN c.s >= 20000 THEN c.b * c.s ELSE 0 END AS priority FROM c JOIN e ON e.s = c.s, (SELECT CAST(unnest([0, 1, 2]) AS INTEGER) AS rep) WHERE {keep}")
 add("benchmark_model", lambda s, d: rounded(costmodel.sync_matrix(costmodel.run_benchmark(costmodel.sweep_plan(s, S_VALUES, B_LEVELS))), "t"), f"WITH {_cells} SELECT b, s, CAST(3 AS BIGINT) AS n, round(2.0 + 1.2 * b * pow(s / 10000.0, 2.1), 6) AS t FROM c")
-add("benchmark_measured", lambda s, d: costmodel.run_benchmark(costmodel.sweep_plan(s, [4096, 16_384], [1, 2], 1), executor="arrow").select("b", "s", "rep", "rank"))
+add("benchmark_measured", lambda s, d: costmodel.run_benchmark(costmodel.sweep_plan(s, S_VALUES, B_LEVELS), executor="arrow"))
+add("fit_measured", workloads.fit_measured)
 matrix = lambda s, d: costmodel.sync_matrix(tables.trace(s, d))
 add("sync_matrix", lambda s, d: rounded(matrix(s, d), "t"), O.with_(O.TRACE, select="SELECT b, s, n, round(t, 6) AS t FROM matrix"))
 add("sync_matrix_median", lambda s, d: rounded(costmodel.sync_matrix(tables.trace(s, d), "median", 1), "t"), O.with_(O.TRACE, select="SELECT b, s, count(*) AS n, round(median(t), 6) AS t FROM (SELECT rep, b, s, max(t) AS t FROM trace WHERE rep >= 1 GROUP BY rep, b, s) GROUP BY b, s"))
@@ -126,7 +163,9 @@ add("fit_refined", lambda s, d: costmodel.refine(matrix(s, d)).select("p", r("r2
 for p, name in ((1, "fit_linear_p1"), (2, "fit_fixed_p2")):
     add(name, lambda s, d, p=p: rounded(costmodel.fit_at(matrix(s, d), p).drop("p"), "a", "slope", "r2"), O.with_(O.TRACE, select=f"SELECT count(*) AS n, round(regr_intercept(t, b * pow(s / 10000.0, {p})), 6) AS a, round(regr_slope(t, b * pow(s / 10000.0, {p})), 6) AS slope, round(regr_r2(t, b * pow(s / 10000.0, {p})), 6) AS r2 FROM matrix"))
 add("fit_weighted", lambda s, d: rounded(costmodel.fit_weighted(costmodel.cells(tables.trace(s, d))), "a", "slope", "r2"), O.with_(O.TRACE, "f AS (SELECT round(1.6 + i * 0.01, 6) AS p, t, b * pow(s / 10000.0, round(1.6 + i * 0.01, 6)) AS x FROM trace, (SELECT unnest(range(0, 81)) AS i))", select="SELECT p, count(*) AS n, round(regr_intercept(t, x), 6) AS a, round(regr_slope(t, x), 6) AS slope, round(regr_r2(t, x), 6) AS r2 FROM f GROUP BY p"))
-add("fit_two_term", lambda s, d: rounded(costmodel.fit_two_term(matrix(s, d)), "r2").select("n", "r2"))
+_b1, _b2 = "((xt * zz - zt * xz) / (xx * zz - xz * xz))", "((zt * xx - xt * xz) / (xx * zz - xz * xz))"
+_two = "k AS (SELECT t, CAST(b AS DOUBLE) * s / 10000.0 AS x, b * pow(s / 10000.0, 2.0) AS z FROM matrix), m AS (SELECT count(*) AS n, avg(x) AS mx, avg(z) AS mz, avg(t) AS mt, covar_pop(x, z) AS xz, var_pop(x) AS xx, var_pop(z) AS zz, covar_pop(x, t) AS xt, covar_pop(z, t) AS zt, var_pop(t) AS tt FROM k)"
+add("fit_two_term", lambda s, d: rounded(costmodel.fit_two_term(matrix(s, d)), "a", "b1", "b2", "r2"), O.with_(O.TRACE, _two, select=f"SELECT n, round(mt - {_b1} * mx - {_b2} * mz, 6) AS a, round({_b1}, 6) AS b1, round({_b2}, 6) AS b2, round(({_b1} * xt + {_b2} * zt) / tt, 6) AS r2 FROM m"))
 add("compute_bound", lambda s, d: costmodel.best(costmodel.fit_grid(matrix(s, d))).select("p", r((20.0 - F.col("a")) / F.col("slope")).alias("m_comp")), O.with_(O.TRACE, O.FITS, select="SELECT p, round((20.0 - a) / slope, 6) AS m_comp FROM best"))
 add("residuals", lambda s, d: rounded(costmodel.residuals(matrix(s, d), CostModel(2.0, 1.2, 2.1, 1e4)), "mean_residual", "mape", "r"), O.with_(O.TRACE, "f AS (SELECT s // 10000 AS band, t, 2.0 + 1.2 * (b * pow(s / 10000.0, 2.1)) AS fit FROM matrix)", select="SELECT band, count(*) AS n, round(avg(t - fit), 6) AS mean_residual, round(avg(abs(t - fit) / t), 6) AS mape, round(corr(t, fit), 6) AS r FROM f GROUP BY ROLLUP (band)"))
 TARGETS = [2.0, 4.0, 5.8, 8.0, 12.0]
@@ -149,7 +188,8 @@ _win = "per AS (SELECT time_bucket(INTERVAL '6 hours', ts) AS w, user_id % 8 AS
 add("window_waits", lambda s, d: telemetry.waits_in_windows(ev(s, d)).select(F.unix_seconds("window_start").alias("window_start"), r("t_sync", 4).alias("t_sync"), "ranks_seen", r("wait", 4).alias("wait")), O.with_(_win, select="SELECT CAST(epoch(w) AS BIGINT) AS window_start, round(max(t), 4) AS t_sync, count(*) AS ranks_seen, round(count(*) * max(t) - sum(t), 4) AS wait FROM per GROUP BY w"))
 add("stream_waits", workloads.stream_waits, O.with_(_win, "top AS (SELECT max(ts) - INTERVAL '1 day' AS m FROM events)", select="SELECT CAST(epoch(w) AS BIGINT) AS window_start, round(max(t), 4) AS t_sync, count(*) AS ranks_seen, round(count(*) * max(t) - sum(t), 4) AS wait FROM per, top WHERE w + INTERVAL '6 hours' <= m GROUP BY w"))
 add("stream_session", workloads.stream_sessions, "WITH g AS (SELECT user_id, ts, value, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL '2 hours' THEN 0 ELSE 1 END AS new FROM events), k AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS no FROM g) SELECT user_id, epoch_us(min(ts)) AS started, epoch_us(max(ts) + INTERVAL '2 hours') AS ended, count(*) AS n, round(sum(value), 4) AS busy FROM k GROUP BY user_id, no")
-add("stream_loop", workloads.stream_loop)
+_sums = "f AS (SELECT round(1.6 + i * 0.01, 6) AS p, t, b * pow(s / 10000.0, round(1.6 + i * 0.01, 6)) AS x FROM trace, (SELECT unnest(range(0, 81)) AS i)), g AS (SELECT p, regr_intercept(t, x) AS a, regr_slope(t, x) AS b, regr_r2(t, x) AS r2 FROM f GROUP BY p)"
+add("stream_loop", lambda s, d: workloads.stream_loop(s, d).select("version", "p", r("a", 4).alias("a"), r("b", 4).alias("b"), r("r2", 4).alias("r2")), O.with_(O.TRACE, _sums, select="SELECT CAST(0 AS INTEGER) AS version, p, round(a, 4) AS a, round(b, 4) AS b, round(r2, 4) AS r2 FROM g ORDER BY round(g.r2, 9) DESC, p LIMIT 1"))
 
 # ---- fused modulation ------------------------------------------------------------------------------------------------
 act, mod = tables.activations, tables.modulation
@@ -182,21 +222,38 @@ def _traffic(spark, d):
 
 add("traffic_bytes", _traffic, "SELECT arm, CAST(vectors AS BIGINT) * 48000 * 5120 * 40 * 2 * 2 AS bytes FROM (VALUES ('discrete', 8), ('fused', 2)) AS v(arm, vectors)")
 add("transactions", lambda s, d: s.createDataFrame([(x,) for x in (1, 64, 5120)], "d long").select("d", graphmem.transactions(F.col("d")).alias("coalesced"), graphmem.transactions(F.col("d"), layout="strided").alias("strided")), "SELECT CAST(d AS BIGINT) AS d, CAST(4 AS BIGINT) AS coalesced, CAST(CASE WHEN d = 1 THEN 4 ELSE 32 END AS BIGINT) AS strided FROM (SELECT unnest([1, 64, 5120]) AS d)")
-add("graph_collapse", lambda s, d: graphmem.collapse(graphmem.nodes(s), [x[0] for x in graphmem.CHAIN]))
+add("graph_collapse", lambda s, d: graphmem.collapse(graphmem.nodes(s), ["standardize", "mul", "add"]).select("op", F.array_join("inputs", ",").alias("inputs"), "saved", "reads", "writes"), "SELECT op, inputs, true AS saved, CAST(1 AS INTEGER) AS reads, CAST(w AS INTEGER) AS writes FROM (VALUES ('mean', 'x', 0), ('var', 'x,mean', 0), ('fused', 'mean,scale,shift,var,x', 1)) AS v(op, inputs, w)")
 add("published_tables_check", lambda s, d: graphmem.kernel_table(s).select("n_k", r("fwd_speedup", 2).alias("fwd"), r("bwd_speedup", 2).alias("bwd"), r("saved_share", 3).alias("saved")), "SELECT n_k, round(fn / f, 2) AS fwd, round(bn / b, 2) AS bwd, round(1 - m / mn, 3) AS saved FROM (VALUES " + ", ".join(f"({a}, {b}::DOUBLE, {c}::DOUBLE, {e}::DOUBLE, {f}::DOUBLE, {g}::DOUBLE, {h}::DOUBLE)" for a, b, c, e, f, g, h in graphmem.KERNEL) + ") AS v(n_k, f, fn, b, bn, m, mn)")
 add("published_system_check", lambda s, d: graphmem.system_table(s).select("arm", r("tokens_per_s", 1).alias("tokens_per_s")), "SELECT arm, round(s * b / t, 1) AS tokens_per_s FROM (VALUES ('unfused', 48000, 3, 62.0::DOUBLE), ('fused_same', 48000, 3, 56.0::DOUBLE), ('fused_max', 52800, 3, 68.0::DOUBLE)) AS v(arm, s, b, t)")
 
 # ---- workloads and surface -------------------------------------------------------------------------------------------
 add("loss_curves", workloads.loss_curves)
 add("kernel_sweep", workloads.kernel_sweep)
-add("text_corpora", workloads.text_corpora)
-add("flagship", workloads.flagship)
-add("bounds_sweep", workloads.bounds_sweep)
+_text = lambda c, arm: O.text_run(c, arm, 8, workloads.TEXT_BOUNDS, workloads.TEXT_MODEL, f"SELECT '{c}' AS corpus, '{arm}' AS arm, count(*) AS steps, round(avg(cv), 5) AS cv, round(avg(rr), 5) AS range_t, round(sum(k) / sum(t), 3) AS tokens_per_s FROM (SELECT step, stddev_pop(load) / avg(load) AS cv, (max(t) - min(t)) / max(t) AS rr, sum(tokens) AS k, max(t) AS t FROM steps GROUP BY step)")
+add("text_corpora", lambda s, d: rounded(rounded(workloads.text_corpora(s, d), "cv", "range_t", digits=5), "tokens_per_s", digits=3), " UNION ALL ".join(_text(c, arm) for c in ("documents", "conversations", "pages", "benchmark") for arm in ARMS))
+add("load_correlations_text", lambda s, d: rounded(metrics.load_correlations(schedule.run(tables.text_samples(s, d, "documents"), "equal_token", 8, workloads.TEXT_BOUNDS, workloads.TEXT_MODEL, kind="geometric"), 2.1), "r_tokens", "r_s2", "r_bs2", "r_bsp", digits=5), O.text_run("documents", "equal_token", 8, workloads.TEXT_BOUNDS, workloads.TEXT_MODEL, "SELECT count(*) AS n, round(corr(t, CAST(tokens AS DOUBLE)), 5) AS r_tokens, round(corr(t, CAST(s AS DOUBLE) * s), 5) AS r_s2, round(corr(t, b * CAST(s AS DOUBLE) * s), 5) AS r_bs2, round(corr(t, b * pow(CAST(s AS DOUBLE), 2.1)), 5) AS r_bsp FROM steps"))
+_flag = lambda arm: f"""SELECT '{arm}' AS arm, count(*) AS steps, avg(CASE WHEN "full" THEN cv END) AS compute_cv, {', '.join(f'avg(CASE WHEN "full" THEN range_{q} END) AS range_{q}' for q in metrics.QUANTITIES)}, sum(CASE WHEN "full" THEN w END) / (16 * sum(CASE WHEN "full" THEN ts END)) AS idle_share, sum(k) / sum(ts) AS tokens_per_s FROM (SELECT step, bool_and("full") AS "full", sum(tokens) AS k, max(t) AS ts, sum(t_sync - t) AS w, stddev_pop(load) / avg(load) AS cv, {', '.join(f'(max({q}) - min({q})) / max({q}) AS range_{q}' for q in metrics.QUANTITIES)} FROM {arm} GROUP BY step)"""
+_five = ["compute_cv", *[f"range_{q}" for q in metrics.QUANTITIES], "idle_share", "tokens_per_s"]
+_short = lambda sql: f"SELECT arm, steps, {', '.join(f'round({c}, 5) AS {c}' for c in _five)} FROM ({sql})"
+add("flagship", lambda s, d: rounded(workloads.flagship(s, d), *_five, digits=5), O.with_(*ARM_STEPS, *[O.run(arm, 16, name=arm) for arm in ARMS], select=" UNION ALL ".join(_short(_flag(arm)) for arm in ARMS)))
+_sweep = (6e8, 1.2e9, 2.4e9, 4.8e9, 9.6e9)
+_one = lambda k, m: f"SELECT {m}::DOUBLE AS m_comp, round(avg(CASE WHEN f THEN cv END), 5) AS cv, round(sum(k) / sum(t), 4) AS tokens_per_s FROM (SELECT step, bool_and(\"full\") AS f, stddev_pop(load) / avg(load) AS cv, sum(tokens) AS k, max(t) AS t FROM w{k} GROUP BY step)"
+add("bounds_sweep", lambda s, d: workloads.bounds_sweep(s, d, bounds=_sweep).select("m_comp", r("cv", 5).alias("cv"), r("tokens_per_s", 4).alias("tokens_per_s")), O.with_(*ARM_STEPS, *[f"{O.batches('dual', Bounds(144_000.0, m + 1.5, 2.0), f'w{k}_b')}, {O.steps(16, 'random', f'w{k}_b', f'w{k}')}" for k, m in enumerate(_sweep)], select=" UNION ALL ".join(_one(k, m) for k, m in enumerate(_sweep))))
+add("loss_agreement", workloads.loss_agreement)
+add("gradient_precision", workloads.gradient_precision)
 add("distribution_gap", lambda s, d: metrics.distribution_gap(clips(s, d), batching.form_batches(clips(s, d), batching.plan_buckets(stats(s, d)))), O.with_(O.CLIPS, select="SELECT bucket_id, count(*) AS before, count(*) AS after, CAST(0 AS BIGINT) AS gap FROM clips GROUP BY bucket_id"))
 _abl = lambda x, f: f"SELECT '{x}_{'fused' if f else 'unfused'}' AS arm, round(sum(k) / sum(t) * {62 / 56 if f else 1.0}, 4) AS tokens_per_s FROM (SELECT step, sum(tokens) AS k, max(t) AS t FROM {x} GROUP BY step)"
 add("ablation", workloads.ablation, O.with_(O.CLIPS, O.stats(), O.run("equal_token", 16, name="equal_token"), O.run("dual", 16, name="dual"), select=" UNION ALL ".join(_abl(x, f) for x in ARMS for f in (False, True))))
-add("pack_tasks", workloads.pack_tasks)
-add("barrier_tasks", workloads.barrier_tasks)
+_T = workloads.TASK
+_pack = f"""
+g AS (SELECT l_partkey AS group_id, count(*) AS rows FROM lineitem GROUP BY 1),
+n AS (SELECT *, CAST(greatest(1, ceil(rows / {_T.m_mem / 2}), ceil(sqrt(CAST(rows AS DOUBLE) * rows / {_T.m_comp / 2}))) AS BIGINT) AS parts FROM g),
+p AS (SELECT group_id, part, (rows + parts - 1 - part) // parts AS size FROM (SELECT *, unnest(range(parts)) AS part FROM n)),
+o AS (SELECT *, sum(size) OVER w - size AS r, sum(size * size) OVER w - size * size AS c FROM p WINDOW w AS (ORDER BY size DESC, md5(concat('{O.SEED}:', group_id, ':', part)) ROWS UNBOUNDED PRECEDING)),
+s AS (SELECT size, dense_rank() OVER (ORDER BY floor(r / {_T.m_mem / 2}), floor(c / {_T.m_comp / 2})) - 1 AS slot FROM o),
+packed AS (SELECT slot, count(*) AS parts, CAST(sum(size) AS BIGINT) AS rows, CAST(sum(size * size) AS DOUBLE) AS load FROM s GROUP BY slot)"""
+add("pack_tasks", workloads.pack_tasks, O.with_(_pack, select="SELECT slot, parts, rows, load FROM packed"))
+add("barrier_tasks", lambda s, d: rounded(workloads.barrier_tasks(s, d), "max_over_mean"), O.with_(_pack, f"h AS (SELECT sum(rows * rows) AS load FROM g GROUP BY CAST(concat('0x', substr(md5(concat('{O.SEED}:', group_id)), 1, 8)) AS BIGINT) % (SELECT count(*) FROM packed))", select="SELECT 'hash' AS how, round(max(load) * (SELECT count(*) FROM packed) / sum(load), 6) AS max_over_mean FROM h UNION ALL SELECT 'dual', round(max(load) / avg(load), 6) FROM packed"))
 add("cube_loads", lambda s, d: tables.clips(s, d).join(tables.table(s, d, "orders").select(F.col("o_orderkey").alias("sample_id"), "o_orderpriority"), "sample_id").cube("modality", "o_orderpriority").agg(F.count("*").alias("n"), F.sum("s").alias("tokens")), O.with_(O.CLIPS, select="SELECT modality, o_orderpriority, count(*) AS n, CAST(sum(s) AS BIGINT) AS tokens FROM clips JOIN orders ON o_orderkey = sample_id GROUP BY CUBE (modality, o_orderpriority)"))
 add("asof_bounds", workloads.asof_bounds, "WITH v AS (SELECT CAST(day AS INTEGER) AS version, TIMESTAMP '2024-01-01' + day * INTERVAL '1 day' AS since, 1e9 * (1 + day) AS m_comp FROM (SELECT unnest(range(0, 30, 5)) AS day)) SELECT event_id, version, m_comp FROM events ASOF JOIN v ON ts >= since")
 add("anti_unlabelled", lambda s, d: tables.text_samples(s, d, "documents").join(tables.table(s, d, "labels").select(F.col("doc_id").alias("sample_id")), "sample_id", "left_anti").agg(F.count("*").alias("n"), F.sum("s").alias("tokens")), f"SELECT count(*) AS n, CAST(sum({O.words('text')}) AS BIGINT) AS tokens FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)")
@@ -216,5 +273,5 @@ add("approx_shapes", lambda s, d: clips(s, d).groupBy("modality").agg(F.approx_c
 add("exact_percentiles", lambda s, d: tables.clips(s, d).groupBy("modality").agg(r(F.percentile("s", 0.5)).alias("p50"), r(F.percentile("s", 0.9)).alias("p90")), O.with_(O.CLIPS, select="SELECT modality, round(quantile_cont(s, 0.5), 6) AS p50, round(quantile_cont(s, 0.9), 6) AS p90 FROM clips GROUP BY modality"))
 add("arms_full_outer", lambda s, d: (lambda e, u: e.join(u, "step", "full_outer"))(*[steps_of(s, d, p).groupBy("step").agg(r(F.max("t")).alias(f"t_{p}")) for p in ARMS]), O.with_(O.CLIPS, O.stats(), O.run("equal_token", 16, name="e"), O.run("dual", 16, name="u"), select="SELECT coalesce(a.step, b.step) AS step, a.t AS t_equal_token, b.t AS t_dual FROM (SELECT step, round(max(t), 6) AS t FROM e GROUP BY step) a FULL JOIN (SELECT step, round(max(t), 6) AS t FROM u GROUP BY step) b ON a.step = b.step"))
 add("range_join_bands", workloads.range_join, O.with_(O.CLIPS, "bands AS (SELECT * FROM (VALUES ('short', 0, 2000), ('middle', 2000, 20000), ('long', 20000, 1000000)) AS v(band, lo, hi))", select="SELECT band, count(*) AS n, CAST(sum(s) AS BIGINT) AS tokens FROM clips JOIN bands ON s >= lo AND s < hi GROUP BY band"))
-add("lag_loads", lambda s, d: rounded(metrics.changes(schedule.step_time(steps_of(s, d)), "t_sync"), "change"), O.with_(O.CLIPS, O.stats(), O.run("dual", 16), "p AS (SELECT step, max(t) AS t FROM steps GROUP BY step)", select="SELECT step, round(t - lag(t) OVER (PARTITION BY step // 64 ORDER BY step), 6) AS change FROM p"))
+add("lag_loads", lambda s, d: rounded(metrics.changes(schedule.step_time(steps_of(s, d)), "t_sync"), "change"), O.with_(O.CLIPS, O.stats(), O.run("dual", 16), "p AS (SELECT step, max(t) AS t FROM steps GROUP BY step)", select="SELECT step, round(t - lag(t) OVER (ORDER BY step), 6) AS change FROM p"))
 add("sql_functions", workloads.sql_functions, O.with_(O.CLIPS, O.stats(), select=f"SELECT bucket_id, s, CAST({O.size('dual')} AS BIGINT) AS b FROM stats"))

@@ -6,7 +6,7 @@ from shapebalance.plans import registry
 
 from .conftest import SF, plain
 
-SLOW = {"closed_loop", "kernel_sweep", "text_corpora", "bounds_sweep"}
+SLOW = {"kernel_sweep", "text_corpora", "fit_measured", "benchmark_measured"}  # run on smaller parameters in test_whole_runs.py
 
 
 @pytest.mark.parametrize("name", sorted(registry.ORACLES))
