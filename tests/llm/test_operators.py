@@ -476,6 +476,15 @@ def test_toxicity_chooses_features_within_folds():
     assert seen == [[1], [0], [0, 1]] and chain.hashes.tolist() == [5, 9]
 
 
+def test_labelled_texts_are_bounded(spark):
+    docs = spark.createDataFrame([(i % 5, f"text {i}", 1) for i in range(50)] + [(7, None, 1), (8, "", 1)], "doc_id long, text string, y long")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(10)] + [(0, 1), (None, 1), (9, None)], "doc_id long, toxic int")
+    got = sorted(tuple(r) for r in toxicity.labelled_texts(docs, labels, "toxic", 100, 1000).collect())
+    assert got == [(0, "text 0", 0), (1, "text 1", 1), (2, "text 12", 0), (3, "text 13", 1), (4, "text 14", 0), (8, "", 0)]
+    assert toxicity.labelled_texts(docs, labels, "toxic", 3, 1000).count() <= 3
+    assert toxicity.labelled_texts(docs.where("false"), labels, "toxic", 3, 1000).count() == 0
+
+
 def test_quality_held_out(larger, docs, none):
     machine = quality.train_quality(*larger)
     got = held(quality.score_quality(larger[0], machine).drop("held_out"), larger[1])

@@ -31,3 +31,21 @@ def test_pipeline_stages(spark):
     left = [pii.find_personal(r["text"]) for r in docs.select("text").collect()]
     assert not any(left)
     assert corpus_pipeline.STAGES[-1][1](spark, docs, SF).select("doc_id").distinct().count() == kept["pii"]
+
+
+def test_stages_on_edge_rows(spark):
+    """Nulls in any column, empty and long texts, repeated rows, clashing column names, an empty table: each stage keeps its columns and says what it does."""
+    long = " ".join(f"word{i % 977}" for i in range(200_000))
+    rows = [(0, None, None, None, None), (1, "", "en", "s", 0), (2, long, "en", "s", len(long)), (2, long, "en", "s", len(long)), (None, "a b c d e f", "en", None, 11), (3, "write to a@b.co or a@b.co", "en", "s", None)]
+    docs = spark.createDataFrame([(*r, 1, "k", 0.5) for r in rows], "doc_id long, text string, lang string, source string, n_chars long, component_id long, key string, score double")
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, docs, SF)
+        assert out.columns == docs.columns and out.count() <= len(rows)
+        assert stage(spark, docs.where("false"), SF).count() == 0
+        if name == "near_dedup":
+            assert sorted(str(r["doc_id"]) for r in out.collect()) == ["0", "1", "2", "3", "None"]
+        if name == "pii":
+            assert out.where("doc_id = 3").first()["text"] == "write to [EMAIL] or [EMAIL]" and out.where("text IS NULL").count() == 1
+    pieces = corpus_pipeline.STAGES[-1][1](spark, docs, SF)
+    assert pieces.where("doc_id = 1").first()["length"] == 1 and pieces.select("doc_id").distinct().count() == 5
+    assert corpus_pipeline.STAGES[-1][1](spark, docs.where("false"), SF).count() == 0
