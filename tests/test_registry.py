@@ -6,7 +6,7 @@ from shapebalance.plans import registry
 
 from .conftest import SF, plain
 
-SLOW = {"kernel_sweep", "text_corpora", "fit_measured", "benchmark_measured"}  # run on smaller parameters in test_whole_runs.py
+SLOW = {"kernel_sweep", "fit_measured", "benchmark_measured"}  # the first and last run on fewer sizes in test_whole_runs.py and test_methods.py
 
 
 @pytest.mark.parametrize("name", sorted(registry.ORACLES))

@@ -50,3 +50,8 @@ def test_lag_loads_of_a_run_of_over_64_steps(spark):
     assert list(got["step"]) == list(t["step"])
     assert got["change"].isna().sum() == 1
     assert np.allclose(got["change"], t["t_sync"].diff(), atol=1e-5, equal_nan=True)
+
+
+def test_kernel_sweep_has_its_sizes(spark):
+    rows = workloads.kernel_sweep(spark, "/root/testdata/sf0.001", (300, 1100)).collect()
+    assert [r["n"] for r in rows] == [300, 1100] and all(r["forward_fused"] > 0 and r["bytes_discrete"] == 5 * r["bytes_fused"] == 5 * 8 * 64 * r["n"] for r in rows)
