@@ -12,12 +12,14 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def op1_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fingerprints of every text and edited text of documents; edge rows as edited_fingerprints() states."""
     from .fingerprints import edited_fingerprints
 
     return edited_fingerprints(_table(spark, sf_dir, "documents"))
 
 
 def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pieces of all documents in sequences of 2048 ids; edge rows as pack_documents() states."""
     import public_tokenizers
 
     from .packing import pack_documents
@@ -26,6 +28,7 @@ def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents read back from their id files; edge rows as round_trip() states."""
     import public_tokenizers
 
     from .tokenfiles import round_trip
@@ -34,6 +37,7 @@ def op3_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Components of documents over four-word shingles; edge rows as near_duplicates() states."""
     from .neardup import NearDupConfig, near_duplicates
 
     return near_duplicates(_table(spark, sf_dir, "documents"), NearDupConfig(words=4))
@@ -62,12 +66,14 @@ FROM documents d JOIN (SELECT doc_id, min(to_id) AS component_id FROM r GROUP BY
 
 
 def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts and spans of personal data in every document; edge rows as personal_digests() states."""
     from .pii import personal_digests
 
     return personal_digests(_table(spark, sf_dir, "documents"))
 
 
 def op6_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The 5 best of all vectors for each query vector; edge rows as top_k() states."""
     from .balltree import top_k
 
     return top_k(_table(spark, sf_dir, "embeddings"))
@@ -90,6 +96,7 @@ SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5
 
 
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Category probabilities of every document by a chain fitted on the labelled ones; edge rows as score_toxicity() and train_toxicity() state."""
     from .toxicity import score_toxicity, train_toxicity
 
     docs = _table(spark, sf_dir, "documents")
@@ -97,6 +104,7 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quality of every document by a machine fitted on labelled ones that are not held out; edge rows as score_quality() and train_quality() state."""
     from .quality import score_quality, train_quality
 
     docs = _table(spark, sf_dir, "documents")
@@ -104,6 +112,7 @@ def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Ids and decoded bytes of every document, as digests; edge rows as encoding_digests() states."""
     import public_tokenizers
 
     from .bytebpe import encoding_digests
@@ -112,6 +121,7 @@ def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts and spans of secrets in every document; edge rows as secret_digests() states."""
     from .secrets import secret_digests
 
     return secret_digests(_table(spark, sf_dir, "documents"))
