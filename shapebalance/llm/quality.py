@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship, text_bytes, text_slices
+from .common import release, ship, text_bytes, text_slices
 from .hashing import span_hashes, word_spans
 from .toxicity import BREAKS, held_out, labelled_texts
 
@@ -149,7 +149,10 @@ def train_quality(docs: DataFrame, labels: DataFrame, config: QualityConfig = Qu
     sample = labelled_texts(docs, labels.select("doc_id", F.col("quality").cast("int").alias("quality")), "quality", c.sample, c.held_out)
     table = sample.mapInArrow(run, "doc_id long, y int, ids binary, x binary").toArrow().sort_by("doc_id")
     rows = [(np.frombuffer(a, "<i4").astype(np.int64), np.frombuffer(b, np.float32)) for a, b in zip(table["ids"].to_pylist(), table["x"].to_pylist(), strict=True)]
-    return FactorisationMachine(c).fit(rows, table["y"].to_numpy().astype(float))
+    machine = FactorisationMachine(c).fit(rows, table["y"].to_numpy().astype(float))
+    del table, rows
+    release()
+    return machine
 
 
 def _scores(machine: FactorisationMachine, column: pa.Array) -> np.ndarray:

@@ -14,10 +14,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Work, ship, text_bytes, text_slices
+from .common import Work, release, ship, text_bytes, text_slices
 from .hashing import span_hashes, word_spans
 
 CATEGORIES = ("severe", "mild", "toxic")
@@ -224,13 +225,25 @@ def train_toxicity(docs: DataFrame, labels: DataFrame, config: ToxicityConfig =
     hashes = np.array([r["h"] for r in chosen], np.int64).view(np.uint64)
     order = np.argsort(hashes)
     per_fold = lambda x: np.array([[r[f"{x}{f}"] for r in chosen] for f in range(c.folds)], float).reshape(c.folds, -1)[:, order]
-    wanted = F.filter("features", lambda h: h.isin([int(x) for x in hashes.view(np.int64)])) if len(chosen) else F.expr("array()").cast("array<bigint>")
-    local = rows.select("doc_id", "y", "fold", F.size("features").alias("size"), wanted.alias("hits")).orderBy("doc_id").collect()
-    per = [np.array(r["hits"], np.int64).view(np.uint64) for r in local]
-    rows_at = np.repeat(np.arange(len(per)), [len(x) for x in per])
-    cols = np.searchsorted(hashes[order], np.concatenate([np.zeros(0, np.uint64), *per]))
-    column = lambda x: np.array([r[x] for r in local], int)
-    return ToxicityChain(c).fit(hashes[order], per_fold("n"), per_fold("k"), rows_at, cols, column("size"), column("y") == 1, column("fold"))
+    wanted = hashes[order].view(np.int64)
+
+    def found(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            size = pc.list_value_length(b.column("features")).to_numpy(zero_copy_only=False)
+            values = b.column("features").flatten().to_numpy(zero_copy_only=False)
+            hit = np.isin(values, wanted)
+            at = np.concatenate(([0], np.cumsum(hit)))[np.concatenate(([0], np.cumsum(size)))].astype(np.int32)
+            yield pa.record_batch([b.column("doc_id"), b.column("y"), b.column("fold"), pa.array(size, pa.int32()), pa.ListArray.from_arrays(pa.array(at), pa.array(values[hit], pa.int64()))], ["doc_id", "y", "fold", "size", "hits"])
+
+    # by Arrow: as rows the hits would be Python numbers, whose memory the driver keeps
+    local = rows.mapInArrow(found, "doc_id long, y int, fold int, size int, hits array<long>").toArrow().sort_by("doc_id")
+    column = lambda x: local[x].to_numpy().astype(int)
+    rows_at = np.repeat(np.arange(local.num_rows), pc.list_value_length(local["hits"]).to_numpy())
+    cols = np.searchsorted(hashes[order], pc.list_flatten(local["hits"]).to_numpy().astype(np.int64).view(np.uint64))
+    chain = ToxicityChain(c).fit(hashes[order], per_fold("n"), per_fold("k"), rows_at, cols, column("size"), column("y") == 1, column("fold"))
+    del local, rows_at, cols
+    release()
+    return chain
 
 
 def score_toxicity(docs: DataFrame, chain: ToxicityChain) -> DataFrame:
