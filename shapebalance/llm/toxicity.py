@@ -134,11 +134,15 @@ class ToxicityChain:
         marks[good] = (z[good] > 0) & (k[good] >= 0.8 * n[good])
         return good, marks
 
-    def fit(self, hashes: np.ndarray, n: np.ndarray, k: np.ndarray, rows: np.ndarray, cols: np.ndarray, size: np.ndarray, toxic: np.ndarray, fold: np.ndarray) -> ToxicityChain:
+    def fit(self, hashes: np.ndarray, n: np.ndarray, k: np.ndarray, rows: np.ndarray, cols: np.ndarray, size: np.ndarray, toxic: np.ndarray, fold: np.ndarray, times: np.ndarray | None = None) -> ToxicityChain:
         """hashes: candidate features, sorted. n, k: documents and toxic documents of each fold (row) that have each feature
-        (column). rows, cols: hits of the documents; size, toxic, fold of each document."""
+        (column). rows, cols: hits of the documents; times: how often each occurs, where rows and cols are distinct and in
+        order, else None. size, toxic, fold of each document. One fold's hits are laid out at a time."""
         m, folds = len(toxic), range(self.c.folds)
-        share = lambda marks: np.bincount(rows, marks[cols], m) / np.maximum(size, 1) if len(rows) else np.zeros(m)
+        if times is None:
+            pairs, times = np.unique(rows.astype(np.int64) * max(len(hashes), 1) + cols, return_counts=True)
+            rows, cols = pairs // max(len(hashes), 1), pairs % max(len(hashes), 1)
+        share = lambda marks: np.bincount(rows, marks[cols] * times, m) / np.maximum(size, 1) if len(rows) else np.zeros(m)
         held = [(fold != f) for f in folds] + [np.ones(m, bool)]
         views = []
         for f, own in enumerate(held):
@@ -146,18 +150,23 @@ class ToxicityChain:
             good, marks = self._choose(n[kept].sum(axis=0), k[kept].sum(axis=0), own.sum(), toxic[own].sum())
             rate = share(marks)
             middle = np.median(rate[own & toxic]) if (own & toxic).any() else 0.0
+            severe = toxic & (rate >= max(middle, 1e-12))
+            views.append((good, {"severe": severe, "mild": toxic & ~severe, "toxic": toxic}))
+
+        def laid_out(good: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
             place = np.full(len(hashes), -1)
             place[good] = np.arange(len(good))
             pick = place[cols] >= 0
-            severe = toxic & (rate >= max(middle, 1e-12))
-            views.append((good, *self._presence(rows[pick], place[cols[pick]], len(good)), {"severe": severe, "mild": toxic & ~severe, "toxic": toxic}))
+            return rows[pick].astype(np.int64), place[cols[pick]]
+
         self.hashes, dense = hashes[views[-1][0]], np.zeros((m, 0))
         for name in CATEGORIES:
-            good, r, c, labels = views[-1]
-            self.models.append(Linear(len(good), dense.shape[1], self.c.l2).fit(r, c, dense, labels[name].astype(float)))
+            good, labels = views[-1]
+            self.models.append(Linear(len(good), dense.shape[1], self.c.l2).fit(*laid_out(good), dense, labels[name].astype(float)))
             out = np.zeros(m)
             for f in folds:
-                good, r, c, labels = views[f]
+                good, labels = views[f]
+                r, c = laid_out(good)
                 own = held[f]
                 place, pick = np.cumsum(own) - 1, own[r]
                 model = Linear(len(good), dense.shape[1], self.c.l2).fit(place[r[pick]], c[pick], dense[own], labels[name][own].astype(float))
@@ -225,23 +234,28 @@ def train_toxicity(docs: DataFrame, labels: DataFrame, config: ToxicityConfig =
     hashes = np.array([r["h"] for r in chosen], np.int64).view(np.uint64)
     order = np.argsort(hashes)
     per_fold = lambda x: np.array([[r[f"{x}{f}"] for r in chosen] for f in range(c.folds)], float).reshape(c.folds, -1)[:, order]
-    wanted = hashes[order].view(np.int64)
+    wanted = hashes[order]
 
     def found(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             size = pc.list_value_length(b.column("features")).to_numpy(zero_copy_only=False)
-            values = b.column("features").flatten().to_numpy(zero_copy_only=False)
-            hit = np.isin(values, wanted)
-            at = np.concatenate(([0], np.cumsum(hit)))[np.concatenate(([0], np.cumsum(size)))].astype(np.int32)
-            yield pa.record_batch([b.column("doc_id"), b.column("y"), b.column("fold"), pa.array(size, pa.int32()), pa.ListArray.from_arrays(pa.array(at), pa.array(values[hit], pa.int64()))], ["doc_id", "y", "fold", "size", "hits"])
-
-    # by Arrow: as rows the hits would be Python numbers, whose memory the driver keeps
-    local = rows.mapInArrow(found, "doc_id long, y int, fold int, size int, hits array<long>").toArrow().sort_by("doc_id")
+            values = b.column("features").flatten().to_numpy(zero_copy_only=False).view(np.uint64)
+            hit = np.flatnonzero(np.isin(values, wanted))
+            owners = np.repeat(np.arange(b.num_rows), size)[hit]
+            pairs, times = np.unique(owners * max(len(wanted), 1) + np.searchsorted(wanted, values[hit]), return_counts=True)
+            at = pa.array(np.searchsorted(pairs, np.arange(b.num_rows + 1) * max(len(wanted), 1)).astype(np.int32))
+            hits = [pa.ListArray.from_arrays(at, pa.array(x.astype(np.int32))) for x in (pairs % max(len(wanted), 1), times)]
+            yield pa.record_batch([b.column("doc_id"), b.column("y"), b.column("fold"), pa.array(size, pa.int32()), *hits], ["doc_id", "y", "fold", "size", "hits", "times"])
+
+    # by Arrow, as numbers of features: as rows the hits would be Python numbers, whose memory the driver keeps
+    local = rows.mapInArrow(found, "doc_id long, y int, fold int, size int, hits array<int>, times array<int>").toArrow().sort_by("doc_id")
     column = lambda x: local[x].to_numpy().astype(int)
-    rows_at = np.repeat(np.arange(local.num_rows), pc.list_value_length(local["hits"]).to_numpy())
-    cols = np.searchsorted(hashes[order], pc.list_flatten(local["hits"]).to_numpy().astype(np.int64).view(np.uint64))
-    chain = ToxicityChain(c).fit(hashes[order], per_fold("n"), per_fold("k"), rows_at, cols, column("size"), column("y") == 1, column("fold"))
-    del local, rows_at, cols
+    rows_at = np.repeat(np.arange(local.num_rows, dtype=np.int32), pc.list_value_length(local["hits"]).to_numpy())
+    cols, times = (pc.list_flatten(local[x]).to_numpy().astype(np.int32) for x in ("hits", "times"))
+    size, toxic, fold = column("size"), column("y") == 1, column("fold")
+    del local
+    chain = ToxicityChain(c).fit(wanted, per_fold("n"), per_fold("k"), rows_at, cols, size, toxic, fold, times)
+    del rows_at, cols, times
     release()
     return chain
 
