@@ -17,11 +17,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Work, text_slices
-from .ragged import GATHER_BYTES
 from .wordtok import word_tokenizer
 
 #: Remainders that one task packs together.
 GROUP = 16_384
+#: Bytes of text that a task encodes at once, and memo entries of its tokenizer's younger half: workers of earlier stages
+#: keep their memory, so the pipeline's last stage takes little of its own.
+ENCODE_BYTES, MEMO = 1_000_000, 50_000
 #: The id that ends each document.
 END = 1
 
@@ -82,8 +84,8 @@ def pack_lengths(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray, np.nda
 
 def _pieces(path: str, capacity: int, end: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tokenizer = word_tokenizer(path)
-        for b in text_slices(batches, limit=GATHER_BYTES):
+        tokenizer = word_tokenizer(path, MEMO)
+        for b in text_slices(batches, limit=ENCODE_BYTES):
             ids, at = tokenizer(b.column("text"))
             out: list[tuple] = []
             for row, doc in enumerate(b.column("doc_id").to_pylist()):

@@ -12,6 +12,7 @@ import time
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import public_tokenizers as P
 import pytest
 import tiktoken
@@ -211,6 +212,24 @@ def test_fill_is_closest():
         assert sum(k * n for k, n in taken.items()) == max(reach) and all(n <= counts[k] for k, n in taken.items())
 
 
+def test_packing_encodes_little_at_once(monkeypatch):
+    seen, memos = [], []
+
+    def small(path, *memo):
+        def encode(texts):
+            seen.append(sum(len(t.as_py()) for t in texts))
+            return np.zeros(len(texts), np.uint16), np.arange(len(texts) + 1)
+
+        memos.append(word_tokenizer(path, *memo).memo.limit)
+        return encode
+
+    monkeypatch.setattr(packing, "word_tokenizer", small)
+    batch = pa.RecordBatch.from_pydict({"doc_id": list(range(1000)), "text": ["x" * 5000] * 1000})
+    rows = [r for b in packing._pieces(WORDS, 2048, 1)(iter([batch])) for r in b.to_pylist()]
+    assert [r["doc_id"] for r in rows] == list(range(1000)) and sum(seen) == 5_000_000
+    assert max(seen) <= 1_000_000 and memos == [50_000]
+
+
 def test_packing_pads_little():
     lengths = np.random.default_rng(1).integers(1, 2049, 5000)
     number, offset = packing.pack_lengths(lengths, 2048)
