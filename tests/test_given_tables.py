@@ -21,3 +21,8 @@ def test_sweep_plan_grid(few):
     got = few("sweep_plan_grid")
     assert sorted(zip(got["s"], got["b"], got["rep"], strict=True)) == [(s, b, rep) for s, bs in CELLS.items() for b in bs for rep in range(3)]
     assert set(got["priority"]) == {0, 56_000, 112_000}
+
+
+def test_sweep_plan_throughput(few):
+    got = few("sweep_plan_throughput")
+    assert sorted(zip(got["s"], got["b"], got["rep"], strict=True)) == [(s, b, rep) for s, bs in CELLS.items() for b in (bs[0], bs[-1]) for rep in range(3)]
