@@ -26,3 +26,9 @@ def test_sweep_plan_grid(few):
 def test_sweep_plan_throughput(few):
     got = few("sweep_plan_throughput")
     assert sorted(zip(got["s"], got["b"], got["rep"], strict=True)) == [(s, b, rep) for s, bs in CELLS.items() for b in (bs[0], bs[-1]) for rep in range(3)]
+
+
+def test_benchmark_model(few):
+    got = few("benchmark_model").set_index(["s", "b"])
+    assert sorted(got.index) == [(s, b) for s, bs in CELLS.items() for b in bs] and set(got["n"]) == {3}
+    assert got.loc[(56_000, 2), "t"] == pytest.approx(2 + 1.2 * 2 * 5.6**2.1, abs=1e-6)
