@@ -32,3 +32,8 @@ def test_benchmark_model(few):
     got = few("benchmark_model").set_index(["s", "b"])
     assert sorted(got.index) == [(s, b) for s, bs in CELLS.items() for b in bs] and set(got["n"]) == {3}
     assert got.loc[(56_000, 2), "t"] == pytest.approx(2 + 1.2 * 2 * 5.6**2.1, abs=1e-6)
+
+
+def test_fit_measured(few):
+    got = few("fit_measured")
+    assert list(got["n"]) == [sum(map(len, CELLS.values()))] and (got["slope"] > 0).all()
