@@ -37,3 +37,9 @@ def test_benchmark_model(few):
 def test_fit_measured(few):
     got = few("fit_measured")
     assert list(got["n"]) == [sum(map(len, CELLS.values()))] and (got["slope"] > 0).all()
+
+
+def test_max_frames(few):
+    got = {tuple(r)[:4]: tuple(r)[4:] for r in few("max_frames")[["m_mem", "b", "h", "w", "frames", "clips", "longer"]].itertuples(index=False)}
+    assert len(got) == 8
+    assert got[(144_000, 3, 640, 640)] == (233, 2, 1) and got[(158_400, 3, 640, 640)] == (257, 2, 0) and got[(144_000, 1, 256, 256)] == (4489, 1, 0)
