@@ -43,3 +43,9 @@ def test_max_frames(few):
     got = {tuple(r)[:4]: tuple(r)[4:] for r in few("max_frames")[["m_mem", "b", "h", "w", "frames", "clips", "longer"]].itertuples(index=False)}
     assert len(got) == 8
     assert got[(144_000, 3, 640, 640)] == (233, 2, 1) and got[(158_400, 3, 640, 640)] == (257, 2, 0) and got[(144_000, 1, 256, 256)] == (4489, 1, 0)
+
+
+def test_crossover(few):
+    got = few("crossover").set_index("p")
+    assert got.loc[2.0, "s"] == pytest.approx(16_666.6667) and list(got.index.sort_values()) == [2.0, 2.1]
+    assert (got["memory"] == 2).all() and (got["compute"] == 1).all()
