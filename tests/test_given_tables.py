@@ -49,3 +49,9 @@ def test_crossover(few):
     got = few("crossover").set_index("p")
     assert got.loc[2.0, "s"] == pytest.approx(16_666.6667) and list(got.index.sort_values()) == [2.0, 2.1]
     assert (got["memory"] == 2).all() and (got["compute"] == 1).all()
+
+
+def test_memory_bound(few):
+    got = few("memory_bound")
+    assert set(zip(got["capacity"], got["tokens"], strict=True)) == {(80e9, 80_000.0), (139e9, 198_000.0)}
+    assert sorted(zip(got["s"], got["fit"], got["n"], strict=True)) == [(256, 312, 1), (256, 773, 1), (4800, 16, 1), (4800, 41, 1), (52_800, 1, 1), (52_800, 3, 1)]
