@@ -55,3 +55,13 @@ def test_memory_bound(few):
     got = few("memory_bound")
     assert set(zip(got["capacity"], got["tokens"], strict=True)) == {(80e9, 80_000.0), (139e9, 198_000.0)}
     assert sorted(zip(got["s"], got["fit"], got["n"], strict=True)) == [(256, 312, 1), (256, 773, 1), (4800, 16, 1), (4800, 41, 1), (52_800, 1, 1), (52_800, 3, 1)]
+
+
+#: Tokens of the dual plan's batches.
+BATCHES = {"1x256x256": 562 * 256, "17x640x640": 30 * 4800, "257x640x640": 52_800}
+
+
+def test_activation_bytes(few):
+    got = few("activation_bytes")
+    assert dict(zip(got["bucket_id"], got["tokens"], strict=True)) == BATCHES
+    assert list(got["discrete"]) == list(got["tokens"] * 5120 * 10) and list(got["fused"]) == list(got["tokens"] * 5120 * 2)
