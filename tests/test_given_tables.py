@@ -65,3 +65,8 @@ def test_activation_bytes(few):
     got = few("activation_bytes")
     assert dict(zip(got["bucket_id"], got["tokens"], strict=True)) == BATCHES
     assert list(got["discrete"]) == list(got["tokens"] * 5120 * 10) and list(got["fused"]) == list(got["tokens"] * 5120 * 2)
+
+
+def test_traffic_bytes(few):
+    got = few("traffic_bytes").set_index(["arm", "bucket_id"])["bytes"].to_dict()
+    assert got == {(arm, k): vectors * n * 5120 * 40 * 2 * 2 for arm, vectors in (("discrete", 8), ("fused", 2)) for k, n in BATCHES.items()}
