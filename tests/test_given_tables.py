@@ -70,3 +70,9 @@ def test_activation_bytes(few):
 def test_traffic_bytes(few):
     got = few("traffic_bytes").set_index(["arm", "bucket_id"])["bytes"].to_dict()
     assert got == {(arm, k): vectors * n * 5120 * 40 * 2 * 2 for arm, vectors in (("discrete", 8), ("fused", 2)) for k, n in BATCHES.items()}
+
+
+def test_graph_collapse(few):
+    got = few("graph_collapse").set_index(["bucket_id", "op"])
+    assert got["moved"].to_dict() == {(b, op): n * k for b, n in BATCHES.items() for op, k in (("mean", 1), ("var", 1), ("fused", 2))}
+    assert set(got.xs("fused", level="op")["inputs"]) == {"mean,scale,shift,var,x"}
