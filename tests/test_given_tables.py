@@ -76,3 +76,10 @@ def test_graph_collapse(few):
     got = few("graph_collapse").set_index(["bucket_id", "op"])
     assert got["moved"].to_dict() == {(b, op): n * k for b, n in BATCHES.items() for op, k in (("mean", 1), ("var", 1), ("fused", 2))}
     assert set(got.xs("fused", level="op")["inputs"]) == {"mean,scale,shift,var,x"}
+
+
+def test_published_system_check(few):
+    got = few("published_system_check").set_index("arm")
+    assert got["clips"].to_dict() == {"unfused": 2, "fused_same": 2, "fused_max": 3}
+    assert got["tokens"].to_dict() == {"unfused": 5056, "fused_same": 5056, "fused_max": 57_856}
+    assert got.loc["fused_same", "tokens_per_s"] == 2571.4 and got.loc["fused_max", "seconds"] == pytest.approx(57_856 * 68 / 158_400, abs=1e-6)
