@@ -83,3 +83,9 @@ def test_published_system_check(few):
     assert got["clips"].to_dict() == {"unfused": 2, "fused_same": 2, "fused_max": 3}
     assert got["tokens"].to_dict() == {"unfused": 5056, "fused_same": 5056, "fused_max": 57_856}
     assert got.loc["fused_same", "tokens_per_s"] == 2571.4 and got.loc["fused_max", "seconds"] == pytest.approx(57_856 * 68 / 158_400, abs=1e-6)
+
+
+def test_published_tables_check(few):
+    got = few("published_tables_check").set_index("n_k")
+    assert got["clips"].to_dict() == {8: 2, 16: 0, 24: 0, 32: 0, 40: 0, 48: 0, 56: 1, 64: 0}
+    assert got.loc[8, "fwd"] == 3.12 and got.loc[8, "fwd_gain"] == pytest.approx(2 * 0.482) and got.loc[56, "bwd_gain"] == pytest.approx(1.326)
